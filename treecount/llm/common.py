@@ -58,6 +58,27 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ready(spark).read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ready(spark).read.parquet(f"{sf_dir}/labels.parquet")
+
+
+def keep_rows(docs: DataFrame, score, below: float | None = None, at_least: float | None = None) -> DataFrame:
+    """The rows of ``docs``, all columns, whose score lies in the range. ``score`` gets texts as bytes and gives an array."""
+
+    def run(batches):
+        for batch in batches:
+            for some in slices(batch, "text", 1 << 20):
+                v = score(raw_bytes(some.column(some.schema.get_field_index("text"))))
+                keep = np.ones(len(v), bool)
+                if below is not None:
+                    keep &= v < below
+                if at_least is not None:
+                    keep &= v >= at_least
+                yield some.filter(pa.array(keep))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def lower_az(text: Column) -> Column:
     """Lower-cases A-Z and nothing else."""
     return F.translate(text, UPPER, LOWER)

@@ -90,6 +90,15 @@ def compare(docs: DataFrame, matched: DataFrame) -> DataFrame:
     return texts.groupBy("text_sha256").agg(F.min("text").alias("a"), F.max("text").alias("b")).where("a <> b").select("text_sha256")
 
 
+def keep_one(docs: DataFrame, snapshot: str) -> DataFrame:
+    """The documents, with all their columns, that stay; of rows that repeat id and text one stays."""
+    kept = dedup(docs, snapshot).where("kept").select(F.col("doc_id").alias("kept_id"), F.col("text_sha256").alias("kept_sha"))
+    kept = commit(kept.groupBy("kept_id", "kept_sha").agg(F.count("*").alias("rows")), "kept")
+    sha = F.sha2(lower_az(F.coalesce(docs["text"].cast("string"), F.lit(""))), 256)
+    out = docs.join(kept.select("kept_id", "kept_sha"), docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id")) & (sha == F.col("kept_sha")), "left_semi")
+    return out.dropDuplicates(["doc_id", "text"]) if kept.where("rows > 1").limit(1).count() else out
+
+
 def halves(docs: DataFrame) -> str:
     """Rows up to the first and second quartile of doc_id are snapshots 0 and 1, all later ones the incoming batch."""
     q = docs.agg(F.percentile_approx(F.col("doc_id").cast("long"), [0.25, 0.5], 1000).alias("q")).first().q

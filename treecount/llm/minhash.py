@@ -239,6 +239,12 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     return out.select("doc_id", "n_shingles", cid.alias("component_id"), F.col("doc_id").eqNullSafe(cid).alias("kept"))
 
 
+def keep_one(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
+    """The documents, with all their columns, one of each component."""
+    kept = near_duplicates(docs, s).where("kept").select(F.col("doc_id").alias("kept_id")).distinct()
+    return docs.join(kept, docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id")), "left_semi")
+
+
 def full_sets_of(docs: DataFrame, pairs: DataFrame, s: Settings) -> DataFrame:
     ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
     return commit(full_sets(plain(docs).join(ids, "doc_id", "left_semi"), s), "shingle-sets")

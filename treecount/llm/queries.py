@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe, exactdup, minhash, packing, tokencounts, tokenfile, urlrules, vecdup
-from .common import documents, ready
+from . import bpe, exactdup, minhash, packing, quality, tokencounts, tokenfile, toxicity, urlrules, vecdup
+from .common import documents, labels, ready
 
 
 def queries() -> dict:
     return {
+        "op1_quality": lambda spark, d: quality.op1(spark, documents(spark, d), labels(spark, d)),
+        "op2_toxicity": lambda spark, d: toxicity.op2(spark, documents(spark, d), labels(spark, d)),
         "op3_url_rules": lambda spark, d: urlrules.op3(spark, ready(spark).read.parquet(f"{d}/pages.parquet")),
         "op4_exact_dedup": lambda spark, d: exactdup.op4(spark, documents(spark, d)),
         "op5_token_files": lambda spark, d: tokenfile.op5(spark, documents(spark, d)),
