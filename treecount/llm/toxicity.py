@@ -18,7 +18,7 @@ class Settings:
 
     A text is averaged over passages of about ``passage`` bytes, cut between words, and scored by
     its most toxic one, so a long text doesn't dilute a short insult. ``most_docs`` bounds the
-    labelled sample of each class; training leaves out texts above ``most_chars`` characters.
+    labelled sample of each class; ``start`` weighs the odds that bucket vectors begin with; training leaves out texts above ``most_chars`` characters.
     """
 
     shortest: int = 3
@@ -30,6 +30,7 @@ class Settings:
     most_chars: int = 8_000
     epochs: int = 25
     rate: float = 0.5
+    start: float = 4.0
     seed: int = 7
 
 
@@ -131,6 +132,7 @@ def train(texts: list[bytes], toxic: np.ndarray, s: Settings) -> Model:
     gv, gw, gb = np.full(size, 1e-8, np.float32), np.full_like(weights, 1e-8), np.full_like(bias, 1e-8)
     flat, edges, first = flattened(texts, s)
     lens = np.diff(edges)
+    vectors += np.outer(odds(flat, edges, first, toxic, size), weights[:, 1] - weights[:, 0]) * (s.start / np.sum((weights[:, 1] - weights[:, 0]) ** 2))
     for epoch in range(s.epochs):
         step = s.rate * (1 - epoch / (s.epochs + 1))
         z = (vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32)
@@ -169,6 +171,15 @@ def train(texts: list[bytes], toxic: np.ndarray, s: Settings) -> Model:
     return Model((vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32), float(bias[1] - bias[0]))
 
 
+def odds(flat: np.ndarray, edges: np.ndarray, first: np.ndarray, toxic: np.ndarray, size: int) -> np.ndarray:
+    """Smoothed log odds of label 1 for texts that have a bucket, against all texts: where vectors begin, so that
+    the first choice of worst passages already is a sensible one."""
+    share, n = float(toxic.mean()), [np.zeros(size), np.zeros(size)]
+    for d in range(len(toxic)):
+        n[toxic[d]][np.unique(flat[edges[first[d]] : edges[first[d + 1]]])] += 1
+    return (np.log((n[1] + 4 * share) / (n[0] + 4 * (1 - share))) - np.log(share / (1 - share))).astype(np.float32)
+
+
 def flattened(texts: list[bytes], s: Settings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Buckets of all passages that have any, one after the other; where each passage begins; the first passage of each text."""
     # Filled in place: only what is written takes memory.
