@@ -134,7 +134,7 @@ def test_workloads_run(spark):
     m = workloads.run_matrix(spark, SF, ("user_next",), ("path3",), ("v0", "v3", "v5"))
     assert m.count() == 3
     assert workloads.rounding(spark, SF, "user_next", ("path3",)).agg(F.max("rel_error")).first()[0] < 1e-5
-    assert workloads.motif_spectrum(graphs.user_next(spark, SF)).count() == 3
+    assert workloads.motif_spectrum(graphs.settle(graphs.supppart(spark, SF), "persist")).count() == 3
     assert workloads.skew(spark, SF, "path3").groupBy("graph").agg(F.min("edges").alias("e")).select("e").distinct().count() == 1
     assert workloads.rollup(m).count() == 3 + 1 + 1 + 1
 

@@ -85,7 +85,7 @@ def cost_aut(t):
     return automorphisms(CATALOGUE[t])
 
 
-@pytest.mark.parametrize("template", ["path3", "star4", "fork5", "spider6"])
+@pytest.mark.parametrize("template", ["star4", "spider6"])
 def test_variants_agree_with_dense_arrays(spark, template):
     rng = np.random.default_rng(5)
     pairs = sorted({tuple(sorted(p)) for p in rng.integers(0, 12, (30, 2)).tolist() if p[0] != p[1]})
@@ -100,16 +100,15 @@ def test_variants_agree_with_dense_arrays(spark, template):
 def test_roots_cuts_and_sharing_do_not_matter(spark, five):
     base = total(five, CATALOGUE["path5"], "v3").collect()
     for o in (Options(root=2), Options(cut="smallest"), Options(cut="balanced", share=False), Options(groups=5)):
-        for v in ("v2", "v3", "v5"):
+        for v in ("v2", "v5"):
             assert total(five, CATALOGUE["path5"], v, o).collect() == base
 
 
 @pytest.mark.parametrize("strategy", ["join", "broadcast", "grid", "hubs"])
 def test_strategies_and_implementations(spark, five, strategy):
     want = sorted(counts(five, CATALOGUE["path4"], "v3").collect())
-    for impl in ("arrow", "expr", "hof", "auto"):
-        for width in (1, 4, 64):
-            assert sorted(counts(five, CATALOGUE["path4"], "v5", Options(strategy=strategy, impl=impl, width=width)).collect()) == want
+    for impl, width in (("arrow", 4), ("arrow", 64), ("expr", 1), ("hof", 4)) if strategy == "join" else (("auto", 4),):
+        assert sorted(counts(five, CATALOGUE["path4"], "v5", Options(strategy=strategy, impl=impl, width=width)).collect()) == want
 
 
 def test_special_cases(spark, five):

@@ -90,7 +90,7 @@ def test_improvement_grows_with_size_and_degree():
     by_size = [cost.improvement(partition(CATALOGUE[n]), CATALOGUE[n].size, 100, c) for n in ("t10", "t12", "t13", "t16", "t17")]
     assert by_size == sorted(by_size)
     p = partition(CATALOGUE["t12"])
-    assert cost.improvement(p, 12, 2, c) / cost.improvement(p, 12, 1, c) == pytest.approx(2, rel=0.05)
+    assert cost.improvement(p, 12, 0.02, c) / cost.improvement(p, 12, 0.01, c) == pytest.approx(2, rel=0.05)
 
 
 def test_memory_and_root_choice():

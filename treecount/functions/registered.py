@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import DoubleType, IntegerType
 
 from ..plans.templates import TreeTemplate, partition
 from .colorsets import masks, split_arrays
@@ -27,12 +28,12 @@ class TemplatePlan:
             yield i, s.key, s.size, s.active, s.passive
 
 
-@pandas_udf("int")
+@pandas_udf(IntegerType())
 def color_rank(colors: pd.Series) -> pd.Series:
     return colors.map(lambda c: sum(comb(int(x), i) for i, x in enumerate(sorted(c), 1)))
 
 
-@pandas_udf("double")
+@pandas_udf(DoubleType())
 def median_of_means(it: pd.Series, v: pd.Series) -> float:
     """Median of the means of about sqrt(n) groups of values; ``it`` mod the number of groups says which."""
     if not len(v):

@@ -34,8 +34,9 @@ def grid_sum(edges: DataFrame, m: DataFrame, w: int, parts: int = 4, cnt_type: s
             total = np.zeros((len(src), x.shape[1]), kind)
             np.add.at(total, rows[hit], x[at[hit]])
             used = np.flatnonzero(total.any(1))
-            out.append(pd.DataFrame({"it": np.int32(it), "v": src[used], "blk": np.int32(blk), "x": list(total[used])}))
-        return pd.concat(out) if out else pd.DataFrame({"it": [], "v": [], "blk": [], "x": []})
+            if len(used):
+                out.append(pd.DataFrame({"it": np.int32(it), "v": src[used], "blk": np.int32(blk), "x": list(total[used])}))
+        return pd.concat(out) if out else pd.DataFrame({"it": [], "v": [], "blk": [], "x": []}, dtype=object)
 
     part = e.groupBy("bi", "bj").cogroup(side.groupBy("bi", "bj")).applyInPandas(meet, f"it int, v long, blk int, x array<{cnt_type}>")
     sums = part.groupBy("it", "v", "blk").agg(*[F.sum(F.get("x", F.lit(i))).alias(f"s{i}") for i in range(w)])
