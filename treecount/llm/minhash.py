@@ -175,6 +175,18 @@ def mismatches(x: Column, y: Column, s: Settings) -> Column:
     return sum((one(F.get(x, F.lit(k)), F.get(y, F.lit(k))) for k in range(1, s.longs)), one(F.get(x, F.lit(0)), F.get(y, F.lit(0))))
 
 
+def similar(u: np.ndarray, v: np.ndarray, s: Settings) -> bool:
+    """Whether two sorted sets have 100 * common >= percent * union."""
+    if len(u) > len(v):
+        u, v = v, u
+    if 100 * len(u) < s.percent * len(v) or not len(u):
+        return False
+    at = np.searchsorted(v, u)
+    at[at == len(v)] = 0
+    common = int(np.count_nonzero(v[at] == u))
+    return 100 * common >= s.percent * (len(u) + len(v) - common)
+
+
 def confirm(pairs: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
     """The pairs (a, b) whose full sets are similar enough."""
     both = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("hashes").alias("y")), "b")
@@ -183,13 +195,7 @@ def confirm(pairs: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
         for batch in batches:
             hit = []
             for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                u, v = np.frombuffer(x, U), np.frombuffer(y, U)
-                few, many = sorted((len(u), len(v)))
-                if 100 * few < s.percent * many:
-                    hit.append(False)
-                    continue
-                common = len(u) + len(v) - len(np.unique(np.concatenate([u, v])))
-                hit.append(100 * common >= s.percent * (len(u) + len(v) - common))
+                hit.append(similar(np.frombuffer(x, U), np.frombuffer(y, U), s))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(hit, pa.bool_()))
 
     return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
@@ -223,15 +229,15 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
         return both.where(sized & (mismatches(F.col("p"), F.col("q"), s) <= most)).select("a", "b").distinct()
 
     star = commit(likely(members.where("first <> rep").select(F.col("first").alias("a"), F.col("rep").alias("b")).distinct()), "pairs")
-    sets = full_sets_of(docs, star, s)
+    sets = commit(full_sets_of(docs, members.select(F.col("rep").alias("doc_id")).distinct(), s), "shingle-sets")
     links = commit(confirm(star, sets, s), "links")
     comp = components(links)
     labelled = members.where("n > 2").join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("band", "rep", F.coalesce("component", "rep").alias("component"))
     labelled = commit(labelled, "labelled")
     open_ = commit(labelled.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("n")).where("lo <> hi").select("band", F.ceil(F.col("n") / s.block).cast("int").alias("blocks")), "open-buckets")
-    rest = commit(across(labelled.join(open_, "band").join(known.select("rep", "n_shingles", "packed"), "rep"), s).distinct().join(star, ["a", "b"], "left_anti"), "pairs")
-    if rest.limit(1).count():
-        more = commit(confirm(rest, full_sets_of(docs, rest, s), s), "links")
+    rows = labelled.join(open_, "band").join(known, "rep").join(sets.withColumnRenamed("doc_id", "rep"), "rep")
+    more = commit(across(rows, s), "links")
+    if more.limit(1).count():
         comp = components(links.union(more))
     component = commit(classes.select("set_key", "rep").join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component")), "class-components")
     out = sketches.select("doc_id", "set_key", "n_shingles").join(component, "set_key", "left")
@@ -245,22 +251,28 @@ def keep_one(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     return docs.join(kept, docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id")), "left_semi")
 
 
-def full_sets_of(docs: DataFrame, pairs: DataFrame, s: Settings) -> DataFrame:
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    return commit(full_sets(plain(docs).join(ids, "doc_id", "left_semi"), s), "shingle-sets")
+def full_sets_of(docs: DataFrame, ids: DataFrame, s: Settings) -> DataFrame:
+    # One plan at every size: sent to all tasks, the ids would have to be bounded.
+    return full_sets(plain(docs).join(ids.hint("merge"), "doc_id", "left_semi"), s)
 
 
 def across(rows: DataFrame, s: Settings) -> DataFrame:
-    """Likely pairs (a < b) of a bucket whose ends are in different components, from pairs of blocks of a bucket."""
+    """Links (a, b) between different components of a bucket, from pairs of its blocks.
+
+    A task has the packed minima and the full sets of two blocks. It confirms likely pairs, the likeliest first,
+    and leaves out those whose ends it has connected meanwhile, so it gives fewer links than it has rows.
+    """
     placed = rows.withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    met = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("band", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "rep", "component", "n_shingles", "packed")
+    met = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("band", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "rep", "component", "n_shingles", "packed", "hashes")
     fold = U(sum(1 << k for k in range(0, 64, s.bits)))
     most = s.most_mismatches()
 
     def meet(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
         _, low, high = key
-        ids, comp, n = (part[c].to_numpy(np.int64) for c in ("rep", "component", "n_shingles"))
+        ids, n = part["rep"].to_numpy(np.int64), part["n_shingles"].to_numpy(np.int64)
+        comp = part["component"].to_numpy(np.int64).copy()
         packed = np.array(part["packed"].tolist(), np.int64).view(U).reshape(len(part), -1)
+        sets = [np.frombuffer(x, U) for x in part["hashes"]]
         block = part["block"].to_numpy()
         xs, ys = np.flatnonzero(block == low), np.flatnonzero(block == high)
         out = []
@@ -270,10 +282,13 @@ def across(rows: DataFrame, s: Settings) -> DataFrame:
             spread = d.copy()
             for k in range(1, s.bits):
                 spread |= d >> U(k)
-            y = y[np.bitwise_count(spread & fold).sum(1) <= most]
-            out.append(np.stack([np.minimum(ids[x], ids[y]), np.maximum(ids[x], ids[y])], 1))
-        pairs = np.unique(np.concatenate(out), axis=0) if out else np.zeros((0, 2), np.int64)
-        return pd.DataFrame({"a": pairs[:, 0], "b": pairs[:, 1]})
+            differ = np.bitwise_count(spread & fold).sum(1)
+            order = np.argsort(differ, kind="stable")
+            for z in y[order[differ[order] <= most]]:
+                if comp[z] != comp[x] and similar(sets[x], sets[z], s):
+                    out.append((min(ids[x], ids[z]), max(ids[x], ids[z])))
+                    comp[comp == comp[z]] = comp[x]
+        return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
 
     return met.groupBy("band", "low", "high").applyInPandas(meet, "a long, b long")
 
