@@ -27,7 +27,7 @@ from .tokens import BYTE_LETTERS, LONGEST_KEPT, ChunkEncoder, vocabulary
 class TreeEncoder(ChunkEncoder):
     """leaf: most characters of the byte alphabet that are encoded in one go."""
 
-    def __init__(self, path: str, leaf: int = 1024, window: int = 8, most: int = 500_000):
+    def __init__(self, path: str, leaf: int = 1024, window: int = 8, most: int = 300_000):
         super().__init__(path, "bytes", most)
         self.leaf, self.window = leaf, window
         self.plain = Tokenizer(self.tok.model)  # no pre-tokenizer: its input is one unsplit piece

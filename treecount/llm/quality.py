@@ -82,8 +82,7 @@ def contexts(texts: list[bytes], s: Settings, total: np.ndarray) -> None:
         for left in (words, shapes):
             a, b = left[near], left[near + gap]
             for row, met in ((a, words[near + gap]), (b, words[near]), (a, shapes[near + gap]), (b, shapes[near])):
-                for k in range(s.nonzero):
-                    total += np.bincount(row * s.dims + place[met, k], sign[met, k], len(total)).astype(np.int64)
+                total += np.bincount((row[:, None] * s.dims + place[met]).ravel(), sign[met].ravel(), len(total)).astype(np.int64)
 
 
 def context_table(docs: DataFrame, s: Settings) -> np.ndarray:
@@ -92,7 +91,7 @@ def context_table(docs: DataFrame, s: Settings) -> np.ndarray:
     def run(batches):
         total = np.zeros((1 << s.bits) * s.dims, np.int64)
         for batch in batches:
-            for some in slices(batch, "text", 4 << 20):
+            for some in slices(batch, "text", 1 << 20):
                 contexts(raw_bytes(some.column(0)), s, total)
         rows = total.reshape(-1, s.dims)
         used = np.flatnonzero(rows.any(1))
@@ -213,7 +212,7 @@ def score_documents(docs: DataFrame, net: Network, table: np.ndarray, s: Setting
     def run(batches):
         net, table = sent.value
         for batch in batches:
-            for some in slices(batch, "text", 2 << 20):
+            for some in slices(batch, "text", 1 << 20):
                 score = net.score(pool(raw_bytes(some.column(1)), table, s)).astype(np.float64)
                 yield pa.RecordBatch.from_arrays([some.column(0), some.column(2), pa.array(score), pa.array((score >= threshold).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 

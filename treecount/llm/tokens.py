@@ -59,7 +59,7 @@ class ChunkEncoder:
     current texts stay. No result depends on it.
     """
 
-    def __init__(self, path: str, kind: str, most: int = 600_000):
+    def __init__(self, path: str, kind: str, most: int = 300_000):
         self.tok, self.kind, self.most = load(path), kind, most
         self.kept: dict[bytes, bytes] = {}
         self.parts: dict[str, bytes] = {}
