@@ -83,6 +83,8 @@ def dedup(docs: DataFrame, snapshot: str) -> DataFrame:
 def compare(docs: DataFrame, matched: DataFrame) -> DataFrame:
     """Digests of ``matched`` (text_sha256, new, old) for which the texts of documents new and old differ in some byte."""
     wanted = matched.select("text_sha256", F.explode(F.array("new", "old")).alias("doc_id")).distinct()
+    # One plan at every size: sent to all tasks, the ids would have to be bounded.
+    wanted = wanted.hint("merge")
     text = lower_az(F.coalesce(F.col("text").cast("string"), F.lit("")))
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text")).join(wanted, "doc_id").select("text_sha256", text.alias("text"))
     # Ids may repeat with other texts: only those that the digest stands for count.
