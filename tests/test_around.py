@@ -179,3 +179,24 @@ def test_imports_without_optional_folders():
     import treecount.queries
 
     assert treecount.queries.queries() and os.path.isdir(os.path.dirname(treecount.queries.__file__))
+
+
+def test_doc_shingles_of_common_lines(spark, tmp_path):
+    """Copies and lines in more than 50 documents make edges like any other."""
+    line = "this very line of words is in many documents"
+    texts = ["a b c d e f g h"] * 60 + [f"{line} {i} x{i} y{i} z{i} w{i}" for i in range(70)] + [f"p q r s t u v{i} w x y z {i}" for i in range(5)]
+    texts += ["one two three four five six", "one two three four five six", "only four words here", "", "one two three four five six seven", "one two three four five six seven  EIGHT"]
+    rows = [(3 * i, t) for i, t in enumerate(texts)] + [(0, "p q r s t u v1 other"), (None, line), (7, None)]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumns({"lang": F.lit("en"), "source": F.lit("x"), "n_chars": F.length("text").cast("long")}).write.parquet(f"{tmp_path}/documents.parquet")
+    sets = {}
+    for i, t in rows:
+        w = (t or "").lower().split()
+        sets.setdefault(i, set()).update(tuple(w[k : k + 5]) for k in range(len(w) - 4))
+    ids = sorted(i for i in sets if i is not None)
+    want = {(a, b) for a in ids for b in ids if a < b and len(sets[a] & sets[b]) >= 3}
+    g = graphs.doc_shingles(spark, str(tmp_path))
+    got = [(r.src, r.dst) for r in g.edges.where("src < dst").collect()]
+    assert len(got) == len(set(got)) and set(got) == want and len(want) > 60 * 59 // 2 + 70 * 69 // 2 - 60
+    assert {r.v for r in g.vertices.collect()} == {v for e in want for v in e}
+    pairs = graphs.meet(spark.createDataFrame([(1, 20, i, 0) for i in range(20)] + [(2, 1, 5, 0)], "key int, n long, id long, tag int"), 3)
+    assert sorted(tuple(sorted((r.a, r.b))) for r in pairs.collect()) == [(i, j) for i in range(20) for j in range(i + 1, 20)]

@@ -247,14 +247,60 @@ def knn(spark: SparkSession, d: str, near: int = 10) -> Graph:
     return normalize(part.withColumn("place", place).where(F.col("place") <= near).select("a", "b"))
 
 
-def doc_shingles(spark: SparkSession, d: str, words: int = 5, shared: int = 3, most: int = 50) -> Graph:
-    """Documents that share some word shingles. Shingles in more than ``most`` documents are boilerplate and make no edges: that is part of this graph's definition."""
-    t = table(spark, d, "documents", "doc_id", "text").select("doc_id", F.split(F.lower("text"), r"\s+").alias("w")).where(F.size("w") >= words)
-    s = t.select("doc_id", F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - words + 1), lambda i: F.xxhash64(F.array_join(F.slice("w", i, words), " ")))).alias("s")).distinct()
-    rare = s.groupBy("s").agg(F.count("*").alias("n")).where(F.col("n").between(2, most)).select("s")
-    s = s.join(rare, "s")
-    pairs = s.withColumnRenamed("doc_id", "a").join(s.withColumnRenamed("doc_id", "b"), "s").where("a < b").groupBy("a", "b").count().where(F.col("count") >= shared)
-    return normalize(pairs.select("a", "b"))
+def meet(rows: DataFrame, block: int = 512) -> DataFrame:
+    """Every two rows (key, n, id, tag) of a key once, as (key, a, b, s, t) with s and t their tags; n is the number of rows of the key.
+
+    Rows meet in blocks, so a task's share of a key doesn't grow with the key.
+    """
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # given, as a few rows make many pairs
+    placed = rows.withColumn("last", (F.ceil(F.col("n") / block) - 1).cast("int")).withColumn("at", F.pmod(F.xxhash64("id"), F.col("last") + 1).cast("int"))
+    x = placed.select("key", F.col("at").alias("low"), F.explode(F.sequence("at", "last")).alias("high"), F.col("id").alias("a"), F.col("tag").alias("s"))
+    y = placed.select("key", F.explode(F.sequence(F.lit(0), "at")).alias("low"), F.col("at").alias("high"), F.col("id").alias("b"), F.col("tag").alias("t"))
+    on = ["key", "low", "high"]
+    return x.repartition(parts, *on).hint("merge").join(y.repartition(parts, *on), on).where("low < high or a < b").select("key", "a", "b", "s", "t")
+
+
+def doc_links(docs: DataFrame, words: int = 5, shared: int = 3, policy: str = "table") -> tuple[DataFrame, DataFrame]:
+    """(a, b): pairs of classes that share at least so many word shingles; and (class, doc_id, n, shingles): the members of each class.
+
+    Documents with equal shingle sets form a class, named by its smallest id. Shingles that occur in the same classes are
+    one lead that weighs as many. Two classes of a lead that weighs enough are linked without a count; the weights of
+    lighter leads are summed for pairs that have no such lead in common. No shingle and no pair is left out.
+    """
+    from ..storage import settle as keep
+
+    t = docs.where("doc_id is not null").select("doc_id", F.split(F.lower("text"), r"\s+").alias("w")).where(F.size("w") >= words)
+    made = t.select("doc_id", F.transform(F.sequence(F.lit(1), F.size("w") - words + 1), lambda i: F.xxhash64(F.array_join(F.slice("w", i, words), " "))).alias("s"))
+    sets = keep(made.groupBy("doc_id").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("s")))).alias("s")), policy, "shingle-sets")
+    named = sets.select("doc_id", F.size("s").alias("shingles"), F.sha2(F.concat_ws(",", F.col("s").cast("array<string>")), 256).alias("digest"))
+    classes = named.groupBy("digest").agg(F.min("doc_id").alias("class"), F.count("*").alias("n"))
+    members = keep(named.join(classes, "digest").select("class", "doc_id", "n", "shingles"), policy, "class-members")
+    first = members.where("class = doc_id").select("doc_id")
+    postings = sets.join(first, "doc_id", "left_semi").select(F.explode("s").alias("s"), F.col("doc_id").alias("id"))
+    postings = keep(postings.join(postings.groupBy("s").agg(F.count("*").alias("n")).where("n > 1"), "s"), policy, "postings")
+    same = [F.bit_xor(F.xxhash64("id")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "id")).alias("y"), F.min("id").alias("low"), F.max("id").alias("high")]
+    leads = postings.groupBy("s", "n").agg(*same).groupBy("n", "x", "y", "low", "high").agg(F.min("s").alias("s"), F.count("*").alias("weight")).select("s", "weight")
+    led = keep(postings.join(leads, "s").select(F.col("s").alias("key"), "n", "id", "weight"), policy, "leads")
+    enough = led.where(F.col("weight") >= shared)
+    tags = enough.groupBy("id").agg(F.collect_list("key").alias("tag"))
+    heavy = meet(enough.join(tags, "id")).where(F.array_min(F.array_intersect("s", "t")) == F.col("key"))
+    light = led.where(F.col("weight") < shared).join(tags, "id", "left").withColumn("tag", F.struct("weight", F.coalesce("tag", F.array().cast("array<bigint>")).alias("heavy")))
+    counted = meet(light).where(~F.arrays_overlap("s.heavy", "t.heavy")).groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.sum("s.weight").alias("common")).where(F.col("common") >= shared)
+    return heavy.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).union(counted.select("a", "b")), members
+
+
+def doc_shingles(spark: SparkSession, d: str, words: int = 5, shared: int = 3, policy: str = "table") -> Graph:
+    """Documents that share at least so many word shingles: every such pair, so a line in many documents links them all."""
+    links, members = doc_links(table(spark, d, "documents", "doc_id", "text"), words, shared, policy)
+    # Most classes have one member; only pairs of a larger one are dealt out anew.
+    large = members.where("n > 1").select("class", "doc_id")
+    within = meet(members.where(F.col("shingles") >= shared).where("n > 1").select(F.col("class").alias("key"), "n", F.col("doc_id").alias("id"), F.lit(0).alias("tag"))).select("a", "b")
+    for end in ("a", "b"):
+        links = links.join(large.withColumnRenamed("class", end), end, "left").withColumn(end, F.coalesce("doc_id", end)).select("a", "b")
+    one = links.union(within).select(F.least("a", "b").cast("long").alias("a"), F.greatest("a", "b").cast("long").alias("b"))
+    # Each pair is there once: classes share no member.
+    edges = one.select(F.inline(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))))
+    return Graph(edges, edges.select(F.col("src").alias("v")).distinct())
 
 
 BUILDERS = {
