@@ -238,3 +238,15 @@ def test_estimator_summary(spark, five):
     assert metrics.failure_rate(s, 7, 100).first().failure_rate == 0
     assert estimator.running_mean(s).orderBy(F.desc("it")).first()["mean"] == pytest.approx(a["mean"])
     assert estimator.count_trees(spark.createDataFrame(FIVE, "x long, y long"), CATALOGUE["path3"], 4).first().iterations == 4
+
+
+def test_fork5_in_whole_graphs(spark, five):
+    """The formula against the enumeration, with and without triangles; a registered query takes it over every vertex."""
+    whole = literal(spark, [(a, b) for a in range(7) for b in range(a)])
+    mixed = literal(spark, [(0, 1), (1, 2), (2, 0), (2, 3), (3, 4), (4, 5), (5, 2), (0, 6), (6, 7), (2, 7), (0, 20), (20, 21)])
+    for g in (five, whole, mixed, literal(spark, [(0, 1)]), literal(spark, [])):
+        assert exact.closed_form(g, "fork5").first().cnt == exact.enumerate_count(g, CATALOGUE["fork5"]).first().cnt
+    assert exact.closed_form(five, "fork5").first().cnt == 2 and exact.closed_form(whole, "fork5").first().cnt == exact.in_complete_graph(7, CATALOGUE["fork5"])
+    from treecount.queries import queries
+
+    assert queries()["exact_fork5"](spark, "/root/testdata/sf0.01").first().cnt == "4065264500"

@@ -34,11 +34,16 @@ def oriented(g: Graph) -> DataFrame:
     return e.where((F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("src") < F.col("dst")))).select(F.col("src").alias("a"), F.col("dst").alias("b"))
 
 
-def triangles(g: Graph) -> DataFrame:
-    """(cnt). Edges point up in degree, so a vertex starts few pairs however many neighbours it has."""
+def corners(g: Graph) -> DataFrame:
+    """(a, x, y): each triangle once. Edges point up in degree, so a vertex starts few pairs however many neighbours it has."""
     e = oriented(g)
     wedge = e.select("a", F.col("b").alias("x")).join(e.select("a", F.col("b").alias("y")), "a").where("x <> y")
-    return wedge.join(e.select(F.col("a").alias("x"), F.col("b").alias("y")), ["x", "y"]).agg(F.count("*").cast(WIDE).alias("cnt"))
+    return wedge.join(e.select(F.col("a").alias("x"), F.col("b").alias("y")), ["x", "y"]).select("a", "x", "y")
+
+
+def triangles(g: Graph) -> DataFrame:
+    """(cnt)."""
+    return corners(g).agg(F.count("*").cast(WIDE).alias("cnt"))
 
 
 def path4(g: Graph) -> DataFrame:
@@ -49,6 +54,18 @@ def path4(g: Graph) -> DataFrame:
     return walks.crossJoin(triangles(g)).select((F.col("w") - 3 * F.col("cnt")).cast(WIDE).alias("cnt"))
 
 
+def fork5(g: Graph) -> DataFrame:
+    """(cnt): for each edge from a centre to the neighbour that goes on, two more neighbours of the centre and one of the other,
+    less the cases where that one is among the two: for each triangle and each corner as the centre, twice its further neighbours."""
+    d = degrees(g)
+    e = g.edges.join(d.select("src", F.col("d").alias("da")), "src").join(d.select(F.col("src").alias("dst"), F.col("d").alias("db")), "dst")
+    pick = ((F.col("da") - 1) * (F.col("da") - 2) / 2).cast(WIDE)
+    free = e.agg(F.coalesce(F.sum((pick * (F.col("db") - 1)).cast(WIDE)), F.lit(0)).cast(WIDE).alias("w"))
+    at = corners(g).select(F.explode(F.array("a", "x", "y")).alias("src")).groupBy("src").agg(F.count("*").cast(WIDE).alias("t"))
+    shut = at.join(d, "src").agg(F.coalesce(F.sum((2 * F.col("t") * (F.col("d") - 2)).cast(WIDE)), F.lit(0)).cast(WIDE).alias("s"))
+    return free.crossJoin(shut).select((F.col("w") - F.col("s")).cast(WIDE).alias("cnt"))
+
+
 def double_star(g: Graph, left: int, right: int) -> DataFrame:
     """(cnt): two joined centres with ``left`` and ``right`` leaves of their own, on a network without triangles, where no leaf can be shared."""
     d = degrees(g)
@@ -65,11 +82,13 @@ def double_star(g: Graph, left: int, right: int) -> DataFrame:
 
 
 def closed_form(g: Graph, name: str) -> DataFrame:
-    """path3, path4, triangles, and star with its number of vertices (star4 has three leaves)."""
+    """path3, path4, fork5, triangles, and star with its number of vertices (star4 has three leaves)."""
     if name == "path3":
         return star(g, 2)
     if name == "path4":
         return path4(g)
+    if name == "fork5":
+        return fork5(g)
     if name == "triangles":
         return triangles(g)
     if name.startswith("star"):
