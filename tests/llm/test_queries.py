@@ -293,3 +293,16 @@ def test_registered():
     names = list(entry.queries())
     assert all(sum(n.startswith(f"op{k}_") for n in names) == 1 for k in range(1, 11)) and "pipeline" in names
     assert set(entry.oracle_sql()) <= set(names)
+
+
+def test_toxicity_corrects_a_capped_sample(spark):
+    """A sample of as many rows of each label gives the log odds of the whole; one without a cap is left alone."""
+    docs = spark.createDataFrame([(i, f"{'vile' if i % 9 == 0 else 'kind'} words number {i}") for i in range(400)], "doc_id long, text string")
+    known = spark.createDataFrame([(i, int(i % 9 == 0)) for i in range(400)], "doc_id long, toxic int")
+    for most in (10, 4000):
+        s = toxicity.Settings(bits=12, epochs=2, most_docs=most)
+        sample = toxicity.labelled_sample(docs, known, "toxic", s.most_docs, s.most_chars)
+        y = np.array([k for _, k in sample])
+        odds = known.where(~common.held_out(F.col("doc_id"))).groupBy().agg(F.sum("toxic") / F.sum(1 - F.col("toxic"))).first()[0]
+        got = toxicity.fit(docs, known, s).bias - toxicity.train([t for t, _ in sample], y, s).bias
+        assert np.isclose(got, np.log(odds) - np.log(y.mean() / (1 - y.mean()))) and (got < -1 if most == 10 else np.isclose(got, 0))

@@ -117,8 +117,11 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(worst, -50, 50)))
 
 
-def train(texts: list[bytes], toxic: np.ndarray, s: Settings) -> Model:
-    """Bucket vectors and softmax weights together, by adaptive gradient steps on one passage of each text: its most toxic one so far."""
+def train(texts: list[bytes], toxic: np.ndarray, s: Settings, prior: float | None = None) -> Model:
+    """Bucket vectors and softmax weights together, by adaptive gradient steps on one passage of each text: its most toxic one so far.
+
+    The bias is shifted from the texts' share of label 1 to the prior, where one is given.
+    """
     rng = np.random.default_rng(s.seed)
     size = 1 << s.bits
     vectors = rng.uniform(-1, 1, (size, s.dims)).astype(np.float32) / s.dims
@@ -168,7 +171,12 @@ def train(texts: list[bytes], toxic: np.ndarray, s: Settings) -> Model:
             gb += grad_b**2
             weights -= 0.3 * step * grad_w / np.sqrt(gw)
             bias -= 0.3 * step * grad_b / np.sqrt(gb)
-    return Model((vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32), float(bias[1] - bias[0]))
+    return Model((vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32), float(bias[1] - bias[0]) + shift(float(np.mean(toxic)), prior))
+
+
+def shift(share: float, prior: float | None) -> float:
+    """What the log odds of label 1 lack when a model has learnt from that share of it."""
+    return 0.0 if prior is None or not 0 < prior < 1 else float(np.log(prior / (1 - prior)) - np.log(share / (1 - share)))
 
 
 def odds(flat: np.ndarray, edges: np.ndarray, first: np.ndarray, toxic: np.ndarray, size: int) -> np.ndarray:
@@ -203,20 +211,31 @@ def spans(edges: np.ndarray, most: int = 4 << 20):
     return [(a, b) for a, b in zip(cuts, cuts[1:], strict=False) if b > a]
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, most_docs: int, most_chars: int) -> list:
-    """(text, label) of at most ``most_docs`` rows of each label that may be learnt from, those with the smallest hash of their id.
+def learnable(labels: DataFrame, column: str) -> DataFrame:
+    """(doc_id, label) of the ids that may be learnt from. A doc_id with contradicting labels teaches nothing."""
+    return labels.where(F.col(column).isin(0, 1) & ~held_out(F.col("doc_id"))).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(column).alias("low"), F.max(column).alias("label")).where("low = label").select("doc_id", "label")
 
-    A doc_id with contradicting labels teaches nothing.
-    """
-    known = labels.where(F.col(column).isin(0, 1) & ~held_out(F.col("doc_id"))).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(column).alias("low"), F.max(column).alias("label")).where("low = label")
+
+def fitting(docs: DataFrame, most_chars: int) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text").between(1, most_chars))
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, most_docs: int, most_chars: int) -> list:
+    """(text, label) of at most ``most_docs`` rows of each label that may be learnt from, those with the smallest hash of their id."""
+    known = learnable(labels, column)
     # A quarter more, as some ids have no text that fits. Ids and texts are both bounded.
     ids = [known.where(F.col("label") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_docs + most_docs // 4) for k in (0, 1)]
     chosen = ids[0].union(ids[1]).select("doc_id", "label", F.xxhash64("doc_id").alias("place"))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text").between(1, most_chars))
-    found = sorted((r.place, r.doc_id, r.text, r.label) for r in rows.join(F.broadcast(chosen), "doc_id").collect())
+    found = sorted((r.place, r.doc_id, r.text, r.label) for r in fitting(docs, most_chars).join(F.broadcast(chosen), "doc_id").collect())
     return [(t.encode(), k) for want in (0, 1) for _, _, t, k in [x for x in found if x[3] == want][:most_docs]]
 
 
+def share_of_label(docs: DataFrame, labels: DataFrame, column: str, most_chars: int) -> float | None:
+    """The share of label 1 among all rows that :func:`labelled_sample` draws from."""
+    n = {r.label: r["count"] for r in fitting(docs, most_chars).select("doc_id").join(learnable(labels, column), "doc_id").groupBy("label").count().collect()}
+    return n.get(1, 0) / sum(n.values()) if n else None
+
+
 def score_documents(docs: DataFrame, model: Model, s: Settings, threshold: float = 0.5) -> DataFrame:
     """doc_id, held_out, score and predicted of each row. Null and empty texts get the score of the bias alone."""
     sent = docs.sparkSession.sparkContext.broadcast((model.logits, model.bias))  # 4 bytes for each bucket: a fixed size
@@ -234,7 +253,8 @@ def score_documents(docs: DataFrame, model: Model, s: Settings, threshold: float
 
 def fit(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model:
     sample = labelled_sample(docs, labels, "toxic", s.most_docs, s.most_chars)
-    return train([t for t, _ in sample], np.array([k for _, k in sample], np.int64), s)
+    prior = share_of_label(docs, labels, "toxic", s.most_chars)
+    return train([t for t, _ in sample], np.array([k for _, k in sample], np.int64), s, prior)
 
 
 def op2(spark: SparkSession, docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> DataFrame:
