@@ -295,6 +295,19 @@ def test_registered():
     assert set(entry.oracle_sql()) <= set(names)
 
 
+def test_pipeline_drops_copies_from_080(spark):
+    """Pairs of similarity 0.80 to 0.85 link in the stage, and not in op6."""
+    docs = []
+    for k in range(6):
+        words = [f"k{k}w{i}" for i in range(104)]
+        docs += [(2 * k, " ".join(words)), (2 * k + 1, " ".join([*words[: 93 + (k == 5) * -1], *(f"z{i}" for i in range(11 + (k == 5)))]))]
+    assert {100 * x / (200 - x) for x in (89, 88)} == {100 * 89 / 111, 100 * 88 / 112}  # shared of 100 shingles each: 80.2 and 78.6
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    assert brute_near(docs, percent=80) == {r.doc_id: (r.n_shingles, r.component_id) for r in minhash.near_duplicates(df).collect()}
+    assert sorted(r.doc_id for r in corpus_pipeline.drop_near_copies(spark, df, None).collect()) == [0, 2, 4, 6, 8, 10, 11]
+    assert minhash.op6(spark, df).where("kept").count() == 12
+
+
 def test_toxicity_corrects_a_capped_sample(spark):
     """A sample of as many rows of each label gives the log odds of the whole; one without a cap is left alone."""
     docs = spark.createDataFrame([(i, f"{'vile' if i % 9 == 0 else 'kind'} words number {i}") for i in range(400)], "doc_id long, text string")

@@ -21,15 +21,15 @@ U = np.uint64
 class Settings:
     """words in a shingle; a link needs 100 * common >= percent * union.
 
-    With 26 bands of 6 minima a pair of similarity 0.85 shares no band with probability 4e-6.
+    With 32 bands of 5 minima a pair of similarity 0.80 shares no band with probability 3e-6.
     A pair of a band is confirmed unless its b-bit estimate is more than ``sigmas`` standard
     errors below the threshold.
     """
 
     words: int = 5
-    percent: int = 85
-    bands: int = 26
-    rows: int = 6
+    percent: int = 80
+    bands: int = 32
+    rows: int = 5
     bits: int = 2
     sigmas: float = 5.0
     block: int = 256
@@ -49,6 +49,10 @@ class Settings:
         return int(np.ceil(self.minima * (1 - p) + self.sigmas * np.sqrt(self.minima * p * (1 - p))))
 
 
+#: The contract of op6; 26 bands of 6 minima miss a pair of similarity 0.85 with probability 4e-6.
+OP6 = Settings(percent=85, bands=26, rows=6)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     h = (h ^ (h >> U(30))) * U(0xBF58476D1CE4E5B9)
     h = (h ^ (h >> U(27))) * U(0x94D049BB133111EB)
@@ -295,7 +299,7 @@ def across(rows: DataFrame, s: Settings) -> DataFrame:
 
 def op6(spark: SparkSession, docs: DataFrame) -> DataFrame:
     ready(spark)
-    return near_duplicates(docs)
+    return near_duplicates(docs, OP6)
 
 
 ORACLE = r"""
