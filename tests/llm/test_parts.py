@@ -153,13 +153,33 @@ def test_packing_plans():
     check_plan(hot)
 
 
+def test_least_squares_place_most_tails():
+    """Tails spread as those of documents: most are placed by the solved counts and few are cut."""
+    rng = np.random.default_rng(5)
+    h = np.bincount(np.clip(rng.gamma(1.9, 345, 10_000).astype(int), 1, packing.WINDOW - 1), minlength=packing.WINDOW)
+    plan = check_plan(h)
+    assert plan.solved + plan.greedy + plan.cut == h.sum()
+    assert plan.solved > 0.8 * h.sum() and plan.cut < 0.05 * h.sum()
+
+
 def test_nnls_meets_an_exact_histogram():
     h = np.zeros(packing.WINDOW, np.int64)
     h[[548, 1500]], h[[700, 648]] = 400, [600, 300]
-    x = packing.nnls(packing.combinations(np.flatnonzero(h), packing.WINDOW), h, 2000)
+    _, x = packing.nnls(packing.combinations(np.flatnonzero(h), packing.WINDOW), h)
     assert sorted(np.rint(x).tolist())[-2:] == [300, 400]
 
 
+def test_nnls_leaves_no_gradient():
+    rng = np.random.default_rng(2)
+    h = np.bincount(rng.integers(1, 64, 900), minlength=64)
+    h[0] = 0
+    combos = packing.combinations(np.flatnonzero(h), 64)
+    active, x = packing.nnls(combos, h, rounds=400, batch=8)
+    rest = h - np.bincount(combos[active].ravel(), np.repeat(x, 3), 64)
+    rest[0] = 0
+    assert (x > 0).all() and rest[combos].sum(1).max() < 0.05 * h.max() and abs(rest[combos[active]].sum(1)).max() < 0.1
+
+
 def test_rule_sweep_against_plain_matching():
     r = random.Random(4)
     part = lambda: r.choice(["a", "b", "ab", "x-y", ""])

@@ -5,10 +5,11 @@ is planned on the histogram of tail lengths, which has a bin for each length bel
 so does not grow with the data:
 
 1. combinations of up to three tail lengths that fill a window exactly are enumerated;
-2. non-negative least squares finds how often to repeat each so that the histogram is met best;
-3. counts are rounded down where the histogram allows;
-4. greedily, the longest tail left is put with one or two others that complete a window;
-5. what still finds no partner is cut into powers of two, which fill windows without a gap.
+2. non-negative least squares finds how often to repeat each so that the histogram is met best: an
+   active-set search over all combinations, so few of them are used and each many times;
+3. counts are rounded by largest remainder, as far as the histogram allows;
+4. greedily, the longest tail left gets companions, of which the last three or fewer complete the window exactly;
+5. what then is left, less than fills a few windows, is cut into powers of two, which fill windows without a gap.
 
 A tail's place follows from its length and its number among the tails of that length.
 """
@@ -44,39 +45,115 @@ def combinations(present: np.ndarray, window: int) -> np.ndarray:
     return np.concatenate(rows)
 
 
-def nnls(combos: np.ndarray, histogram: np.ndarray, rounds: int = 150) -> np.ndarray:
-    """Repeat counts x >= 0 of the combinations that minimise the squared distance to the histogram (accelerated projected gradient)."""
-    n, size = len(combos), len(histogram)
+def nnls(combos: np.ndarray, histogram: np.ndarray, rounds: int = 40, batch: int = 256) -> tuple[np.ndarray, np.ndarray]:
+    """Indices of combinations and their repeat counts x > 0 that minimise the squared distance to the histogram.
+
+    An active set grows by the combinations with the largest gradient that share no length; least squares on the
+    set is solved by conjugate gradients, and where a count would turn negative the step ends at the boundary and that
+    combination leaves the set. It ends when no combination has a gradient left or the distance falls no more.
+    """
     target = histogram.astype(float).copy()
     target[0] = 0
-    flat = combos.ravel()
+    active, x, last = np.zeros(0, np.int64), np.zeros(0), np.inf
 
-    def apply(x):
-        out = np.bincount(flat, np.repeat(x, 3), size)
+    def met(rows, v):
+        out = np.bincount(rows.ravel(), np.repeat(v, 3), len(target))
         out[0] = 0
         return out
 
-    v = np.ones(n)
-    for _ in range(12):  # largest eigenvalue, for the step
-        w = apply(v)[combos].sum(1)
-        norm = np.linalg.norm(w)
-        v = w / max(norm, 1e-12)
-    step = 1 / max(norm * 1.05, 1e-12)
-    x = y = np.zeros(n)
-    t = 1.0
+    def solve(rows, v):
+        v = v.copy()
+        r = (target - met(rows, v))[rows].sum(1)
+        d, rr = r.copy(), r @ r
+        for _ in range(200):
+            if rr < 1e-6 * len(v):
+                break
+            q = met(rows, d)[rows].sum(1) + 1e-7 * d
+            step = rr / (d @ q)
+            v += step * d
+            r -= step * q
+            rr, was = r @ r, rr
+            d = r + rr / was * d
+        return v
+
     for _ in range(rounds):
-        grad = (apply(y) - target)[combos]
-        grad[combos == 0] = 0
-        nxt = np.maximum(0, y - step * grad.sum(1))
-        t2 = (1 + (1 + 4 * t * t) ** 0.5) / 2
-        y = nxt + (t - 1) / t2 * (nxt - x)
-        x, t = nxt, t2
-    return x
+        gradient = (target - met(combos[active], x))[combos].sum(1)
+        gradient[active] = 0
+        new = disjoint(combos, gradient, batch, len(target))
+        active, x = np.concatenate([active, new]), np.concatenate([x, np.zeros(len(new))])
+        for inner in range(8):
+            z = solve(combos[active], x)
+            bad = z <= 1e-9
+            if not bad.any():
+                break
+            moved = bad & (x > 0)
+            step = (x[moved] / (x[moved] - z[moved])).min() if moved.any() and inner < 7 else 1.0
+            x = x + step * (z - x)
+            keep = ~bad | (x > 1e-9)
+            active, x = active[keep], x[keep]
+        else:
+            z = x
+        x = np.maximum(z, 0)
+        distance = np.linalg.norm(target - met(combos[active], x))
+        if not len(new) or distance > 0.999 * last:
+            break
+        last = distance
+    return active, x
+
+
+def disjoint(combos: np.ndarray, gradient: np.ndarray, most: int, size: int, least: float = 1e-3) -> np.ndarray:
+    """At most so many combinations of positive gradient, the largest first, none sharing a length with an earlier one."""
+    top = np.flatnonzero(gradient > least)
+    if len(top) > 20 * most:
+        top = top[np.argpartition(-gradient[top], 20 * most)[: 20 * most]]
+    used, out = np.zeros(size, bool), []
+    for k in top[np.argsort(-gradient[top], kind="stable")]:
+        if not used[combos[k]].any():
+            used[combos[k]] = True
+            used[0] = False
+            out.append(k)
+            if len(out) == most:
+                break
+    return np.array(out, np.int64)
+
+
+def companions(left: np.ndarray, rest: int) -> list[int] | None:
+    """Lengths out of ``left`` (counts by length) that add up to ``rest``: the longest that fit, and at the end one, two or
+    three that complete it exactly. None if there are none such."""
+    left, chosen = left.copy(), []
+    while True:
+        if left[rest]:
+            return [*chosen, rest]
+        there = np.flatnonzero(left[:rest])
+
+        def pair(rest, there):
+            b = there[there <= rest // 2]
+            b = b[(left[rest - b] > 0) & ((2 * b != rest) | (left[b] > 1))]
+            return [int(b[-1]), int(rest - b[-1])] if len(b) else None
+
+        found = pair(rest, there)
+        if found:
+            return chosen + found
+        for c in there[there <= rest - 2][::-1].tolist():
+            if rest > 3 * c:  # three of at most c each are too short
+                break
+            left[c] -= 1
+            smaller = there[there <= c]
+            found = pair(rest - c, smaller[smaller < rest - c])
+            left[c] += 1
+            if found and (c not in found or left[c] > found.count(c)):
+                return [*chosen, c, *found]
+        if not len(there):
+            return None
+        chosen.append(int(there[-1]))
+        left[there[-1]] -= 1
+        rest -= int(there[-1])
 
 
 @dataclass
 class Plan:
-    """slots: rows (length, first tail number, tails, first sequence, offset); cut: for each length the number from which tails are cut, and their count."""
+    """slots: rows (length, first tail number, tails, first sequence, offset); cut_from: for each length the number from
+    which tails are cut; solved, greedy, cut: how many tails each way placed."""
 
     window: int
     slots: np.ndarray
@@ -85,6 +162,9 @@ class Plan:
     patterns: int
     sequences: int
     cut_tokens: int
+    solved: int
+    greedy: int
+    cut: int
 
 
 def parts_of(length: int) -> list[int]:
@@ -106,28 +186,25 @@ def plan_tails(histogram: np.ndarray, window: int = WINDOW) -> Plan:
                 left[x] -= n * k
             chosen.append((combo, n))
 
-    present = np.flatnonzero(left)
-    combos = combinations(present, window)
+    combos = combinations(np.flatnonzero(left), window)
     if len(combos):
-        x = nnls(combos, left)
+        active, x = nnls(combos, left)
+        whole = np.floor(x + 1e-6).astype(np.int64)
+        lengths = [tuple(int(v) for v in combos[k] if v) for k in active]
         for k in np.argsort(-x, kind="stable"):
-            if x[k] < 1:
-                break
-            take(tuple(int(v) for v in combos[k] if v), int(x[k]))
+            take(lengths[k], int(whole[k]))
+        for k in np.argsort(whole - x, kind="stable"):
+            take(lengths[k], 1)
+    solved = sum(len(c) * n for c, n in chosen)
     for a in range(window - 1, 0, -1):
         while left[a]:
-            rest, had = window - a, int(left[a])
-            if rest <= a and left[rest]:
-                take((rest, a), 1 << 62)
-            else:
-                b = np.flatnonzero(left[: min(rest, a + 1)])
-                b = b[(b > 0) & (b * 2 >= rest)]
-                b = b[left[rest - b] > 0] if len(b) else b
-                for v in b[::-1].tolist():
-                    if left[a] == had:
-                        take((rest - v, v, a), 1 << 62)
-            if left[a] == had:
+            left[a] -= 1
+            found = companions(left, window - a)
+            left[a] += 1
+            if not found:
                 break
+            take((*sorted(found), a), 1 << 62)
+    greedy = sum(len(c) * n for c, n in chosen) - solved
     slots, used, seq = [], np.zeros(window, np.int64), 0
     for combo, n in chosen:
         offset = 0
@@ -145,7 +222,7 @@ def plan_tails(histogram: np.ndarray, window: int = WINDOW) -> Plan:
             if length >> j & 1:
                 cut_base[length, j] = at
                 at += int(left[length]) << j
-    return Plan(window, np.array(sorted(slots), np.int64).reshape(-1, 5), used, cut_base, seq, seq + at // window + (at % window).bit_count(), at)
+    return Plan(window, np.array(sorted(slots), np.int64).reshape(-1, 5), used, cut_base, seq, seq + at // window + (at % window).bit_count(), at, solved, greedy, int(left.sum()))
 
 
 def place(plan: Plan, length: int, number: int) -> list[tuple[int, int, int]]:
@@ -238,5 +315,6 @@ def pack(docs: DataFrame, path: str, kind: str = "words", end_id: int = 1, windo
 
 
 def op10(spark: SparkSession, docs: DataFrame, path: str | None = None) -> DataFrame:
+    """Every document packed with the given vocabulary, one row per piece; see :func:`pack`."""
     ready(spark)
     return pack(docs, path or vocabulary("word_bpe_49k.json"))
