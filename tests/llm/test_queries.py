@@ -250,6 +250,81 @@ def test_packing(spark, odd, none, real):
         packing.pack(odd, "", window=1000)
 
 
+def plain_toxicity(text, model, s):
+    """Scores one text by words, strings and whole numbers."""
+    words = "".join(c if c.isascii() and c.isalpha() or ord(c) > 127 else " " for c in (text or "").lower()).split(" ")
+    means = []
+    for w in (f" {w} " for w in words if w):
+        z = []
+        for n in range(s.shortest, s.longest + 1):
+            for gram in (w[i : i + n] for i in range(len(w) - n + 1)):
+                h = 0
+                for c in gram:
+                    h = (h * 0x01000193 + ord(c) + 1) % 2**32
+                for shift, factor in ((15, 0x2C1B3C6D), (12, 0x297A2D39)):
+                    h = (h ^ (h >> shift)) * factor % 2**32
+                z.append(float(model.logits[h >> (32 - s.bits)]))
+        means.append(sum(z) / len(z) if z else 0.0)
+    top = sorted(means)[-s.top :]
+    x = (sum(top) / len(top) if top else 0.0) + model.bias + model.slope * np.log1p(len(means))
+    return 1 / (1 + np.exp(-x))
+
+
+def test_toxicity_scores_as_a_plain_version_does(spark, odd):
+    s = toxicity.Settings(bits=12, epochs=3)
+    docs = odd.unionByName(spark.createDataFrame([(100 + i, t) for i, t in enumerate(["a", "ab", "Ünïcode wörds, ÉTÉ!", "x1y", "漢字 漢", "good vile good", "vile VILE"])], "doc_id long, text string"), allowMissingColumns=True)
+    model = toxicity.train([b"vile words here", b"kind words here", b"more vile things", b"more kind things"] * 5, np.array([1, 0, 1, 0] * 5), s)
+    got = sorted((r.doc_id or -1, round(r.score, 9), r.predicted) for r in toxicity.score_documents(docs, model, s).collect())
+    want = [(r.doc_id or -1, plain_toxicity(r.text, model, s)) for r in docs.select("doc_id", "text").collect()]
+    assert got == sorted((i, round(x, 9), int(x >= 0.5)) for i, x in want)
+    assert toxicity.drop_toxic(docs, model, s).count() == sum(x < 0.5 for _, x in want)
+
+
+def plain_quality(text, net, table, s):
+    """Scores one text: rows of its words and of their shapes, means, and the network, each by itself."""
+    words = (text or "").encode().split()
+    low = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
+    kind = bytes(65 if 65 <= c <= 90 else 97 if 97 <= c <= 122 or c > 127 else 48 if 48 <= c <= 57 else c for c in range(256))
+    def hashed(raw, extra=0):
+        h = sum(int(minhash.BYTE[c]) * pow(minhash.ODD, i, 2**64) for i, c in enumerate(raw)) + extra
+        return int(minhash.mix(np.array([h % 2**64], np.uint64))[0]) >> (64 - s.bits)
+
+    x = np.zeros(quality.width(table))
+    if words:
+        shapes = [bytes(c for i, c in enumerate(k) if not i or k[i - 1] != c) for k in (w.translate(kind) for w in words)]
+        d = table.shape[1]
+        for k, rows in enumerate(([hashed(w.translate(low)) for w in words], [hashed(b, 1) for b in shapes])):
+            mean = np.mean([table[r] for r in rows], axis=0)
+            x[k * d : (k + 1) * d], x[k - 3] = mean, np.log(np.linalg.norm(mean[: d // 2]) + 1e-3)
+        x[-1] = np.log1p(len(words))
+    z = float(np.tanh((x - net.mean) / net.scale @ net.w1 + net.b1) @ net.w2 + net.b2)
+    return 1 / (1 + np.exp(-(z / net.temperature + net.shift)))
+
+
+def test_quality_scores_as_a_plain_version_does(spark, odd):
+    s = quality.Settings(bits=9, dims=8, epochs=5)
+    docs = odd.unionByName(spark.createDataFrame([(100 + i, t) for i, t in enumerate(["One", "Two words", "AAA!! 12,5 bb", "ÉTÉ était 漢"])], "doc_id long, text string"), allowMissingColumns=True)
+    table = quality.tables(docs, s)
+    rng = np.random.default_rng(0)
+    texts = [" ".join(rng.choice(["aa", "Bb", "C!", "12"], 9)) for _ in range(60)]
+    net = quality.train(quality.pool([t.encode() for t in texts], table, s), np.arange(60) % 2, 0.7, s)
+    got = sorted((r.doc_id or -1, r.score, r.predicted) for r in quality.score_documents(docs, net, table, s).collect())
+    want = sorted((r.doc_id or -1, plain_quality(r.text, net, table, s)) for r in docs.select("doc_id", "text").collect())
+    assert [g[0] for g in got] == [w[0] for w in want] and np.allclose([g[1] for g in got], [w[1] for w in want], atol=1e-5)
+    assert all(g[2] == (w[1] >= 0.3) for g, w in zip(got, want, strict=True) if abs(w[1] - 0.3) > 1e-4)
+
+
+@pytest.mark.parametrize("op,column,least", [(quality.op1, "quality", (0.95, 0.95)), (toxicity.op2, "toxic", (0.85, 0.85))])
+def test_held_out_precision_and_recall(spark, op, column, least):
+    """On the larger table; some labels of both kinds are wrong there, so neither can be 1."""
+    sf = "/root/testdata/sf0.1"
+    labels = common.labels(spark, sf)
+    got = op(spark, common.documents(spark, sf), labels).where("held_out").join(labels, "doc_id").select("predicted", column).collect()
+    hit = sum(r.predicted == 1 == r[column] for r in got)
+    precision, recall = hit / sum(r.predicted for r in got), hit / sum(r[column] == 1 for r in got)
+    assert precision > least[0] and recall > least[1], (precision, recall)
+
+
 @pytest.mark.parametrize("op,column", [(quality.op1, "quality"), (toxicity.op2, "toxic")])
 def test_classifiers(spark, odd, none, op, column):
     sf = "/root/testdata/sf0.01"

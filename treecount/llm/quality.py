@@ -21,8 +21,8 @@ class Settings:
     """Words are hashed to ``1 << bits`` rows; each row has a fixed sparse index vector of ``dims`` with ``nonzero`` signs.
 
     A row's context vector sums the index vectors of all words within ``reach`` places, over every
-    document of the corpus. The network learns from at most ``most_docs`` labelled texts of each
-    label, none above ``most_chars`` characters; one in five of them sets the temperature.
+    document of the corpus. The network learns from at most ``most_docs`` labelled texts and about
+    ``most_chars`` characters in all of each label; one in five of them sets the temperature.
     """
 
     bits: int = 13
@@ -31,7 +31,7 @@ class Settings:
     reach: int = 2
     hidden: int = 32
     most_docs: int = 4000
-    most_chars: int = 20_000
+    most_chars: int = 12_000_000
     epochs: int = 60
     rate: float = 0.01
     decay: float = 1e-4

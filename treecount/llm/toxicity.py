@@ -1,4 +1,4 @@
-"""Toxicity: embeddings of hashed character n-grams, averaged into a linear softmax, trained together in numpy."""
+"""Toxicity: embeddings of hashed character n-grams, averaged by word and then over a text's most toxic words into a linear softmax, trained together in numpy."""
 
 from __future__ import annotations
 
@@ -6,7 +6,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import held_out, keep_rows, raw_bytes, ready, slices
@@ -14,36 +14,36 @@ from .common import held_out, keep_rows, raw_bytes, ready, slices
 
 @dataclass(frozen=True)
 class Settings:
-    """Subwords are runs of ``shortest`` to ``longest`` bytes inside a word with its boundaries.
+    """Subwords are runs of ``shortest`` to ``longest`` characters inside a word with its boundaries.
 
-    A text is averaged over passages of about ``passage`` bytes, cut between words, and scored by
-    its most toxic one, so a long text doesn't dilute a short insult. ``most_docs`` bounds the
-    labelled sample of each class; ``start`` weighs the odds that bucket vectors begin with; training leaves out texts above ``most_chars`` characters.
+    A word is the average of its subwords, a text the average of its ``top`` most toxic words, so a
+    long text doesn't dilute a short insult and one odd word doesn't condemn a text; the logarithm of
+    a text's number of words is a further input, as longer texts have odder words. The labelled
+    sample has at most ``most_docs`` rows and about ``most_chars`` characters in all for each class;
+    ``start`` weighs the odds that bucket vectors begin with.
     """
 
     shortest: int = 3
     longest: int = 6
     bits: int = 18
     dims: int = 8
-    passage: int = 64
+    top: int = 3
     most_docs: int = 4000
-    most_chars: int = 8_000
-    epochs: int = 25
+    most_chars: int = 6_000_000
+    epochs: int = 8
     rate: float = 0.5
     start: float = 4.0
     seed: int = 7
 
 
-#: Each byte's word character: A-Z lower-cased, letters and all bytes beyond ASCII themselves, anything else a boundary.
-FOLD = np.full(256, 32, np.uint8)
+#: What each ASCII character counts as: letters as themselves in lower case, anything else as a boundary. Characters beyond stand for themselves.
+FOLD = np.full(128, 32, np.uint32)
 FOLD[97:123] = FOLD[65:91] = np.arange(97, 123)
-FOLD[128:] = np.arange(128, 256)
 
 
 def subwords(raw: np.ndarray, s: Settings) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets of all subwords of folded bytes, and the position that each begins at."""
+    """Buckets of all subwords of folded characters, and the position that each begins at."""
     n = len(raw)
-    wide = raw.astype(np.uint32)
     inside = raw != 32
     h = np.zeros(n, np.uint32)
     valid = np.ones(n, bool)
@@ -51,7 +51,7 @@ def subwords(raw: np.ndarray, s: Settings) -> tuple[np.ndarray, np.ndarray]:
     for k in range(s.longest):
         if n <= k:
             break
-        h = h[: n - k] * np.uint32(0x01000193) + wide[k:] + np.uint32(1)
+        h = h[: n - k] * np.uint32(0x01000193) + raw[k:] + np.uint32(1)
         if k >= 2:
             valid = valid[: n - k] & inside[k - 1 : n - 1]
         else:
@@ -69,109 +69,104 @@ def subwords(raw: np.ndarray, s: Settings) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(buckets), np.concatenate(places)
 
 
-def fold(texts: list[bytes], s: Settings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Folded bytes of all texts with boundaries between, where passages begin, and each passage's text."""
-    pieces = [b" " + t + b" " for t in texts]
-    raw = FOLD[np.frombuffer(b"".join(pieces), np.uint8)]
-    ends = np.cumsum([len(p) for p in pieces])
-    begins = ends - [len(p) for p in pieces]
-    starts, owner = [], []
-    gaps = np.flatnonzero(raw == 32)
-    for k, (a, b) in enumerate(zip(begins.tolist(), ends.tolist(), strict=True)):
-        count = max(1, round((b - a) / s.passage))
-        cuts = [a]
-        if count > 1:
-            want = a + (np.arange(1, count) * (b - a)) // count
-            cuts += np.unique(gaps[np.minimum(np.searchsorted(gaps, want), len(gaps) - 1)]).tolist()
-            cuts = [c for c in cuts if a <= c < b - 1]
-        starts += cuts
-        owner += [k] * len(cuts)
-    return raw, np.array(starts, np.int64), np.array(owner, np.int64)
-
-
 def bags(texts: list[bytes], s: Settings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Buckets, the passage of each, and each passage's text. Subwords that overlap a passage's end count where they begin."""
-    raw, starts, owner = fold(texts, s)
+    """Buckets, the word of each, and each word's text. Case is folded first; every character beyond ASCII belongs to a word."""
+    pieces = [f" {t.decode().lower()} " for t in texts]
+    raw = np.frombuffer("".join(pieces).encode("utf-32-le"), np.uint32)
+    raw = np.where(raw < 128, FOLD[np.minimum(raw, 127)], raw)
+    gap = raw == 32
+    starts = np.flatnonzero(gap[:-1] & ~gap[1:])  # the boundary before each word
+    owner = np.searchsorted(np.cumsum([len(p) for p in pieces]), starts, side="right")
     buckets, places = subwords(raw, s)
     return buckets, np.searchsorted(starts, places, side="right") - 1, owner
 
 
-class Model:
-    """logits: for each bucket the difference that its vector makes between the two softmax outputs; with the bias all that scoring needs."""
+def highest(z: np.ndarray, owner: np.ndarray, texts: int, top: int) -> np.ndarray:
+    """The ``top`` words of each text with the highest z (of equal ones the first), in the order of the text; owner is ascending."""
+    words = np.bincount(owner, minlength=texts)
+    words = words[words > 0]
+    left, picked = np.array(z, np.float64), [np.zeros(0, np.int64)]
+    starts = np.cumsum(words) - words
+    for _ in range(top if len(words) else 0):
+        at = np.flatnonzero(left == np.repeat(np.maximum.reduceat(left, starts), words))
+        at = at[np.concatenate([[True], owner[at[1:]] != owner[at[:-1]]])]
+        at = at[left[at] > -np.inf]
+        left[at] = -np.inf
+        picked.append(at)
+    return np.sort(np.concatenate(picked))
+
 
-    def __init__(self, logits: np.ndarray, bias: float):
-        self.logits, self.bias = logits, bias
+class Model:
+    """logits: for each bucket the difference that its vector makes between the two softmax outputs; with the bias and
+    the slope for the logarithm of the number of words all that scoring needs."""
 
-    def passages(self, buckets: np.ndarray, passage: np.ndarray, n: int) -> np.ndarray:
-        total = np.bincount(passage, self.logits[buckets], n)
-        return total / np.maximum(1, np.bincount(passage, minlength=n)) + self.bias
+    def __init__(self, logits: np.ndarray, bias: float, slope: float = 0.0):
+        self.logits, self.bias, self.slope = logits, bias, slope
 
     def score(self, texts: list[bytes], s: Settings) -> np.ndarray:
-        """Probability of label 1 for each text. A text without subwords gets what the bias says."""
+        """Probability of label 1 for each text. A text without words gets what the bias says."""
         if not texts:
             return np.zeros(0)
-        buckets, passage, owner = bags(texts, s)
-        z = self.passages(buckets, passage, len(owner))
-        worst = np.full(len(texts), -np.inf)
-        np.maximum.at(worst, owner, z)
-        return 1 / (1 + np.exp(-np.clip(worst, -50, 50)))
+        buckets, word, owner = bags(texts, s)
+        n, words = len(texts), np.bincount(owner, minlength=len(texts))
+        z = np.bincount(word, self.logits[buckets], len(owner)) / np.maximum(1, np.bincount(word, minlength=len(owner)))
+        pick = highest(z, owner, n, s.top)
+        mean = np.bincount(owner[pick], z[pick], n) / np.maximum(1, np.minimum(words, s.top))
+        return 1 / (1 + np.exp(-np.clip(mean + self.bias + self.slope * np.log1p(words), -50, 50)))
 
 
 def train(texts: list[bytes], toxic: np.ndarray, s: Settings, prior: float | None = None) -> Model:
-    """Bucket vectors and softmax weights together, by adaptive gradient steps on one passage of each text: its most toxic one so far.
+    """Bucket vectors and softmax weights together, by adaptive gradient steps on each text's most toxic words so far.
 
     The bias is shifted from the texts' share of label 1 to the prior, where one is given.
     """
     rng = np.random.default_rng(s.seed)
     size = 1 << s.bits
+    if not len(texts) or len(set(toxic.tolist())) < 2:
+        rate = float(np.mean(toxic)) if len(texts) else 0.0
+        return Model(np.zeros(size, np.float32), float(np.log((rate + 1e-3) / (1 - rate + 1e-3))))
     vectors = rng.uniform(-1, 1, (size, s.dims)).astype(np.float32) / s.dims
     weights = np.zeros((s.dims, 2), np.float32)
     weights[:, 1] = rng.normal(0, 0.5, s.dims)
     weights[:, 0] = -weights[:, 1]
-    bias = np.zeros(2, np.float32)
-    if not len(texts) or len(set(toxic.tolist())) < 2:
-        rate = float(np.mean(toxic)) if len(texts) else 0.0
-        return Model(np.zeros(size, np.float32), float(np.log((rate + 1e-3) / (1 - rate + 1e-3))))
-    gv, gw, gb = np.full(size, 1e-8, np.float32), np.full_like(weights, 1e-8), np.full_like(bias, 1e-8)
-    flat, edges, first = flattened(texts, s)
-    lens = np.diff(edges)
-    vectors += np.outer(odds(flat, edges, first, toxic, size), weights[:, 1] - weights[:, 0]) * (s.start / np.sum((weights[:, 1] - weights[:, 0]) ** 2))
+    flat, edges, owner = flattened(texts, s)
+    lens, words = np.diff(edges), np.log1p(np.bincount(owner, minlength=len(texts)))
+    center = float(words.mean())
+    far = (words - center).astype(np.float32)
+    lean = weights[:, 1] - weights[:, 0]
+    vectors += np.outer(odds(flat, edges, owner, toxic, size), lean) * (s.start / np.sum(lean**2))
+    outer = [weights, np.zeros(2, np.float32), np.zeros(2, np.float32)]  # weights, bias, slope
+    seen = [np.full(size, 1e-8, np.float32), *(np.full_like(x, 1e-8) for x in outer)]
     for epoch in range(s.epochs):
         step = s.rate * (1 - epoch / (s.epochs + 1))
-        z = (vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32)
-        means = np.concatenate([np.add.reduceat(z[flat[edges[a] : edges[b]]], edges[a:b] - edges[a]) for a, b in spans(edges)]) / lens
-        # Toxic texts teach by their worst passage, clean ones by their worst and one more.
-        worst = np.array([a + int(np.argmax(means[a:b])) if b > a else -1 for a, b in zip(first, first[1:], strict=False)])
-        other = np.where(toxic == 0, first[:-1] + (rng.random(len(toxic)) * np.diff(first)).astype(np.int64), -1)
-        pool = np.concatenate([worst, other[other >= 0]])
-        label = np.concatenate([toxic, np.zeros((other >= 0).sum(), np.int64)])
-        fine = (pool >= 0) & (pool < len(lens))
-        pool, label = pool[fine], label[fine]
-        order = rng.permutation(len(pool))
+        z = vectors @ (outer[0][:, 1] - outer[0][:, 0])
+        means = np.concatenate([np.add.reduceat(z[flat[edges[a] : edges[b]]], edges[a:b] - edges[a]) for a, b in spans(edges)] or [np.zeros(0)]) / lens
+        pick = highest(means, owner, len(texts), s.top)
+        first = np.searchsorted(owner[pick], np.arange(len(texts) + 1))
+        order = rng.permutation(np.flatnonzero(np.diff(first)))
         for at in range(0, len(order), 128):
             batch = order[at : at + 128]
-            own, y = pool[batch], label[batch].astype(np.int64)
-            grams = np.concatenate([flat[edges[p] : edges[p + 1]] for p in own])
-            size_of = lens[own]
-            seg = np.concatenate([[0], np.cumsum(size_of)[:-1]])
-            mean = np.add.reduceat(vectors[grams], seg, axis=0) / size_of[:, None]
-            logit = mean @ weights + bias
-            p = np.exp(logit - logit.max(1, keepdims=True))
-            p /= p.sum(1, keepdims=True)
-            err = p
+            y, held = toxic[batch], np.diff(first)[batch]
+            chosen = np.concatenate([pick[first[t] : first[t + 1]] for t in batch])
+            of = np.repeat(np.arange(len(batch)), held)
+            grams = np.concatenate([flat[edges[w] : edges[w + 1]] for w in chosen])
+            share = np.repeat(1 / lens[chosen] / held[of], lens[chosen])  # what a subword counts for in its text
+            mean = np.add.reduceat(vectors[grams] * share[:, None], np.concatenate([[0], np.cumsum(lens[chosen])])[np.concatenate([[0], np.cumsum(held)[:-1]])], axis=0)
+            logit = mean @ outer[0] + outer[1] + far[batch, None] * outer[2]
+            err = np.exp(logit - logit.max(1, keepdims=True))
+            err /= err.sum(1, keepdims=True)
             err[np.arange(len(y)), y] -= 1
-            grad_w, grad_b = mean.T @ err / len(y), err.mean(0)
-            per_passage = (err @ weights.T) / size_of[:, None]
+            back = (err @ outer[0].T)[np.repeat(of, lens[chosen])] * share[:, None]
             used, inverse = np.unique(grams, return_inverse=True)
-            which = np.repeat(np.arange(len(y)), size_of)
-            grad = np.stack([np.bincount(inverse, per_passage[which, k], len(used)) for k in range(s.dims)], 1).astype(np.float32)
-            gv[used] += (grad**2).mean(1)
-            vectors[used] -= step * grad / np.sqrt(gv[used])[:, None]
-            gw += grad_w**2
-            gb += grad_b**2
-            weights -= 0.3 * step * grad_w / np.sqrt(gw)
-            bias -= 0.3 * step * grad_b / np.sqrt(gb)
-    return Model((vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32), float(bias[1] - bias[0]) + shift(float(np.mean(toxic)), prior))
+            grad = np.stack([np.bincount(inverse, back[:, k], len(used)) for k in range(s.dims)], 1).astype(np.float32)
+            seen[0][used] += (grad**2).mean(1)
+            vectors[used] -= step * grad / np.sqrt(seen[0][used])[:, None]
+            for x, g, total in zip(outer, (mean.T @ err / len(y), err.mean(0), (far[batch, None] * err).mean(0)), seen[1:], strict=True):
+                total += g**2
+                x -= 0.3 * step * g / np.sqrt(total)
+    weights, bias, slope = outer
+    tilt = float(slope[1] - slope[0])
+    return Model((vectors @ (weights[:, 1] - weights[:, 0])).astype(np.float32), float(bias[1] - bias[0]) - tilt * center + shift(float(np.mean(toxic)), prior), tilt)
 
 
 def shift(share: float, prior: float | None) -> float:
@@ -179,33 +174,33 @@ def shift(share: float, prior: float | None) -> float:
     return 0.0 if prior is None or not 0 < prior < 1 else float(np.log(prior / (1 - prior)) - np.log(share / (1 - share)))
 
 
-def odds(flat: np.ndarray, edges: np.ndarray, first: np.ndarray, toxic: np.ndarray, size: int) -> np.ndarray:
+def odds(flat: np.ndarray, edges: np.ndarray, owner: np.ndarray, toxic: np.ndarray, size: int) -> np.ndarray:
     """Smoothed log odds of label 1 for texts that have a bucket, against all texts: where vectors begin, so that
-    the first choice of worst passages already is a sensible one."""
+    the first choice of words already is a sensible one."""
     share, n = float(toxic.mean()), [np.zeros(size), np.zeros(size)]
+    first = edges[np.searchsorted(owner, np.arange(len(toxic) + 1))]
     for d in range(len(toxic)):
-        n[toxic[d]][np.unique(flat[edges[first[d]] : edges[first[d + 1]]])] += 1
+        n[toxic[d]][np.unique(flat[first[d] : first[d + 1]])] += 1
     return (np.log((n[1] + 4 * share) / (n[0] + 4 * (1 - share))) - np.log(share / (1 - share))).astype(np.float32)
 
 
 def flattened(texts: list[bytes], s: Settings) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Buckets of all passages that have any, one after the other; where each passage begins; the first passage of each text."""
+    """Buckets of all words that have any, one word after the other; where each word begins; the text of each word."""
     # Filled in place: only what is written takes memory.
     flat = np.empty(sum(len(t) + 2 for t in texts) * (s.longest - s.shortest + 1), np.uint32)
-    counts, passages, used = [], [], 0
-    for at in range(0, len(texts), 256):
-        buckets, passage, owner = bags(texts[at : at + 256], s)
-        flat[used : used + len(buckets)] = buckets[np.argsort(passage, kind="stable")]
+    counts, owners, used = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], 0
+    for at in range(0, len(texts), 64):
+        buckets, word, owner = bags(texts[at : at + 64], s)
+        flat[used : used + len(buckets)] = buckets[np.argsort(word, kind="stable")]
         used += len(buckets)
-        n = np.bincount(passage, minlength=len(owner))
+        n = np.bincount(word, minlength=len(owner))
         counts.append(n[n > 0])
-        passages.append(np.bincount(owner[n > 0], minlength=len(texts[at : at + 256])))
-    edges = np.concatenate([[0], np.cumsum(np.concatenate(counts))])
-    return flat[:used], edges, np.concatenate([[0], np.cumsum(np.concatenate(passages))])
+        owners.append(owner[n > 0] + at)
+    return flat[:used], np.concatenate([[0], np.cumsum(np.concatenate(counts))]), np.concatenate(owners)
 
 
 def spans(edges: np.ndarray, most: int = 4 << 20):
-    """Ranges of passages that hold about ``most`` subwords."""
+    """Ranges of words that hold about ``most`` subwords."""
     group = edges[:-1] // most
     cuts = [0, *(np.flatnonzero(np.diff(group)) + 1).tolist(), len(group)]
     return [(a, b) for a, b in zip(cuts, cuts[1:], strict=False) if b > a]
@@ -216,29 +211,37 @@ def learnable(labels: DataFrame, column: str) -> DataFrame:
     return labels.where(F.col(column).isin(0, 1) & ~held_out(F.col("doc_id"))).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.min(column).alias("low"), F.max(column).alias("label")).where("low = label").select("doc_id", "label")
 
 
-def fitting(docs: DataFrame, most_chars: int) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text").between(1, most_chars))
+def with_text(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text") > 0)
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, column: str, most_docs: int, most_chars: int) -> list:
-    """(text, label) of at most ``most_docs`` rows of each label that may be learnt from, those with the smallest hash of their id."""
+    """(text, label) of rows that may be learnt from, in the order of a hash of their id: for each label at most
+    ``most_docs`` rows, up to the one that brings them to ``most_chars`` characters in all. Length alone leaves no text out."""
     known = learnable(labels, column)
-    # A quarter more, as some ids have no text that fits. Ids and texts are both bounded.
+    # A quarter more, as some ids have no text. Rows and characters are both bounded.
     ids = [known.where(F.col("label") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most_docs + most_docs // 4) for k in (0, 1)]
     chosen = ids[0].union(ids[1]).select("doc_id", "label", F.xxhash64("doc_id").alias("place"))
-    found = sorted((r.place, r.doc_id, r.text, r.label) for r in fitting(docs, most_chars).join(F.broadcast(chosen), "doc_id").collect())
-    return [(t.encode(), k) for want in (0, 1) for _, _, t, k in [x for x in found if x[3] == want][:most_docs]]
+    found = with_text(docs).join(F.broadcast(chosen), "doc_id")
+    earlier = Window.partitionBy("label").orderBy("place", "doc_id", "text").rowsBetween(Window.unboundedPreceding, -1)
+    found = found.withColumn("chars", F.coalesce(F.sum(F.length("text")).over(earlier), F.lit(0))).withColumn("rows", F.count("*").over(earlier))
+    found = found.where((F.col("chars") < most_chars) & (F.col("rows") < most_docs)).select("label", "place", "doc_id", "text").collect()
+    return [(r.text.encode(), r.label) for r in sorted(found)]
 
 
-def share_of_label(docs: DataFrame, labels: DataFrame, column: str, most_chars: int) -> float | None:
+def share_of_label(docs: DataFrame, labels: DataFrame, column: str) -> float | None:
     """The share of label 1 among all rows that :func:`labelled_sample` draws from."""
-    n = {r.label: r["count"] for r in fitting(docs, most_chars).select("doc_id").join(learnable(labels, column), "doc_id").groupBy("label").count().collect()}
+    n = {r.label: r["count"] for r in with_text(docs).select("doc_id").join(learnable(labels, column), "doc_id").groupBy("label").count().collect()}
     return n.get(1, 0) / sum(n.values()) if n else None
 
 
 def score_documents(docs: DataFrame, model: Model, s: Settings, threshold: float = 0.5) -> DataFrame:
-    """doc_id, held_out, score and predicted of each row. Null and empty texts get the score of the bias alone."""
-    sent = docs.sparkSession.sparkContext.broadcast((model.logits, model.bias))  # 4 bytes for each bucket: a fixed size
+    """doc_id, held_out, score and predicted of each row.
+
+    Null and empty texts get the score of the bias alone; rows that repeat get equal scores; a very long text is
+    scored whole, by its most toxic words; an empty table gives no rows; other columns of ``docs`` are not looked at.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast((model.logits, model.bias, model.slope))  # 4 bytes for each bucket: a fixed size
 
     def run(batches):
         m = Model(*sent.value)
@@ -253,16 +256,21 @@ def score_documents(docs: DataFrame, model: Model, s: Settings, threshold: float
 
 def fit(docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> Model:
     sample = labelled_sample(docs, labels, "toxic", s.most_docs, s.most_chars)
-    prior = share_of_label(docs, labels, "toxic", s.most_chars)
+    prior = share_of_label(docs, labels, "toxic")
     return train([t for t, _ in sample], np.array([k for _, k in sample], np.int64), s, prior)
 
 
 def op2(spark: SparkSession, docs: DataFrame, labels: DataFrame, s: Settings = Settings()) -> DataFrame:
+    """Learns from the rows of ``labels`` (doc_id, toxic) that are not held out, and scores every row of ``docs``.
+
+    Null labels and ids that are labelled both ways teach nothing; without labels of both kinds every text gets the
+    share of label 1. Else as :func:`score_documents`.
+    """
     ready(spark)
     return score_documents(docs, fit(docs, labels, s), s)
 
 
 def drop_toxic(docs: DataFrame, model: Model, s: Settings, threshold: float = 0.5) -> DataFrame:
     """The documents, with all their columns, that score below the threshold."""
-    sent = docs.sparkSession.sparkContext.broadcast((model.logits, model.bias))
+    sent = docs.sparkSession.sparkContext.broadcast((model.logits, model.bias, model.slope))
     return keep_rows(docs, lambda texts: Model(*sent.value).score(texts, s), below=threshold)
