@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import commit
+from .common import commit, discard
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -22,7 +22,8 @@ def components(links: DataFrame) -> DataFrame:
         low = both.join(state.select(F.col("node").alias("b"), "component"), "b").groupBy("a").agg(F.min("component").alias("low"))
         lower = commit(state.join(low, state.node == low.a, "left").select("node", F.col("component").alias("was"), F.least("component", F.coalesce("low", "component")).alias("component")), "components")
         up = lower.select(F.col("node").alias("component"), F.col("component").alias("up"))
-        state2 = commit(lower.join(up, "component", "left").select("node", "was", F.coalesce("up", "component").alias("component")), "components")
-        state = state2.select("node", "component")
-        if not state2.where("was <> component").limit(1).count():
-            return state
+        last, state = state, commit(lower.join(up, "component", "left").select("node", "was", F.coalesce("up", "component").alias("component")), "components")
+        discard(last, lower)
+        if not state.where("was <> component").limit(1).count():
+            discard(both)
+            return state.select("node", "component")
