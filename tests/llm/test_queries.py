@@ -113,6 +113,24 @@ def test_near_duplicates(spark, odd, none, real):
     assert minhash.keep_one(odd).columns == odd.columns
 
 
+def test_near_duplicates_without_ids(spark):
+    """Documents without an id rank last in their group, whatever the order and however often they repeat."""
+    a, b = " ".join(f"a{i}" for i in range(60)), " ".join(f"b{i}" for i in range(60))
+    rows = [(None, a), (1, a), (2, a), (None, a), (3, a + " end"), (None, b), (None, b + " end"), (None, "lone"), (4, "one"), (4, "two"), (4, a), (None, None), (0, b.upper().replace("B", "c")), (5, b[:60] + " x y z")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    sets = [{tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if (w := (t or "").lower().split()) else set() for _, t in rows]
+    root = list(range(len(rows)))
+    for x in range(len(rows)):
+        for y in range(x):
+            if sets[x] and 100 * len(sets[x] & sets[y]) >= 85 * len(sets[x] | sets[y]):
+                root = [root[y] if r == root[x] else r for r in root]
+    low = {r: min((rows[k][0] for k in range(len(rows)) if root[k] == r and rows[k][0] is not None), default=None) for r in root}
+    want = [(i, len(sets[k]), low[root[k]], low[root[k]] == i) for k, (i, _) in enumerate(rows)]
+    assert sorted((tuple(r) for r in minhash.op6(spark, docs).collect()), key=str) == sorted(want, key=str)
+    small = minhash.Settings(percent=85, bands=26, rows=6, block=2, block_bytes=64)
+    assert sorted((tuple(r) for r in minhash.near_duplicates(docs, small).collect()), key=str) == sorted(want, key=str)
+
+
 def test_chains_of_near_copies(spark):
     """Neighbours in the chain are alike, its ends are not; buckets then hold several components at first."""
     words = [f"q{i}" for i in range(200)]

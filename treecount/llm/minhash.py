@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import commit, raw_bytes, ready, slices
+from .common import commit, discard, raw_bytes, ready, slices
 from .components import components
 
 U = np.uint64
@@ -23,7 +23,8 @@ class Settings:
 
     With 32 bands of 5 minima a pair of similarity 0.80 shares no band with probability 3e-6.
     A pair of a band is confirmed unless its b-bit estimate is more than ``sigmas`` standard
-    errors below the threshold.
+    errors below the threshold. Pairs of a bucket meet in blocks of about ``block`` rows, or fewer
+    where their full sets exceed ``block_bytes``.
     """
 
     words: int = 5
@@ -33,6 +34,7 @@ class Settings:
     bits: int = 2
     sigmas: float = 5.0
     block: int = 256
+    block_bytes: int = 16 << 20
 
     @property
     def minima(self) -> int:
@@ -125,7 +127,7 @@ def band_keys(low: np.ndarray, s: Settings) -> np.ndarray:
     return keys.view(np.int64)
 
 
-SKETCH = "doc_id long, set_key string, n_shingles long, packed array<long>, bands array<long>"
+SKETCH = "doc_id long, text_key long, set_key string, n_shingles long, packed array<long>, bands array<long>"
 
 
 def sketch(docs: DataFrame, s: Settings) -> DataFrame:
@@ -134,7 +136,7 @@ def sketch(docs: DataFrame, s: Settings) -> DataFrame:
     def run(batches):
         for batch in batches:
             for some in slices(batch, "text", 1 << 20):
-                made = [shingles(t, s.words) for t in raw_bytes(some.column(1))]
+                made = [shingles(t, s.words) for t in raw_bytes(some.column(2))]
                 there = [k for k, (_, x) in enumerate(made) if len(x)]
                 keys: list = [None] * len(made)
                 packed, bands = list(keys), list(keys)
@@ -142,26 +144,42 @@ def sketch(docs: DataFrame, s: Settings) -> DataFrame:
                     low = minima([made[k][1] for k in there], s)
                     for k, p, b in zip(there, pack(low, s), band_keys(low, s), strict=True):
                         keys[k], packed[k], bands[k] = xxhash.xxh128_hexdigest(made[k][0]), p, b
-                yield pa.RecordBatch.from_arrays([some.column(0), pa.array(keys, pa.string()), pa.array([len(x) for _, x in made], pa.int64()), pa.array(packed, pa.list_(pa.int64())), pa.array(bands, pa.list_(pa.int64()))], names=["doc_id", "set_key", "n_shingles", "packed", "bands"])
+                yield pa.RecordBatch.from_arrays([some.column(0), some.column(1), pa.array(keys, pa.string()), pa.array([len(x) for _, x in made], pa.int64()), pa.array(packed, pa.list_(pa.int64())), pa.array(bands, pa.list_(pa.int64()))], names=["doc_id", "text_key", "set_key", "n_shingles", "packed", "bands"])
 
     return plain(docs).mapInArrow(run, SKETCH)
 
 
 def plain(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    """doc_id, text_key (a hash of the text and of whether there is an id) and text."""
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text, F.col("doc_id").isNull()).alias("text_key"), text.alias("text"))
 
 
-def full_sets(docs: DataFrame, s: Settings) -> DataFrame:
-    """doc_id and the sorted shingle hashes of each document that has words, as bytes."""
+def full_sets(docs: DataFrame, wanted: DataFrame, s: Settings) -> DataFrame:
+    """node and the sorted shingle hashes, as bytes, of the documents wanted (node, doc_id, text_key, set_key).
+
+    One plan at every size: sent to all tasks, what is wanted would have to be bounded. Rows of a document that occurs
+    often arrive one after the other, and all but the first are passed over.
+    """
 
     def run(batches):
+        last = None
         for batch in batches:
             for some in slices(batch, "text", 1 << 20):
-                sets = [shingles(t, s.words)[1].tobytes() for t in raw_bytes(some.column(1))]
-                keep = np.array([len(x) > 0 for x in sets], bool)
-                yield pa.RecordBatch.from_arrays([some.column(0), pa.array(sets, pa.binary())], names=["doc_id", "hashes"]).filter(pa.array(keep))
-
-    return plain(docs).mapInArrow(run, "doc_id long, hashes binary")
+                nodes, sets = [], []
+                for node, key, text in zip(some.column(0).to_pylist(), some.column(1).to_pylist(), raw_bytes(some.column(2)), strict=True):
+                    if node == last:
+                        continue
+                    line, hashes = shingles(text, s.words)
+                    if xxhash.xxh128_hexdigest(line) == key:
+                        nodes.append(node)
+                        sets.append(hashes.tobytes())
+                        last = node
+                if nodes:
+                    yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(sets, pa.binary())], names=["node", "hashes"])
+
+    found = plain(docs).withColumn("doc_id", F.coalesce("doc_id", F.lit(0))).join(wanted.withColumn("doc_id", F.coalesce("doc_id", F.lit(0))).hint("merge"), ["doc_id", "text_key"])
+    return found.select("node", "set_key", "text").mapInArrow(run, "node long, hashes binary")
 
 
 def mismatches(x: Column, y: Column, s: Settings) -> Column:
@@ -193,7 +211,7 @@ def similar(u: np.ndarray, v: np.ndarray, s: Settings) -> bool:
 
 def confirm(pairs: DataFrame, sets: DataFrame, s: Settings) -> DataFrame:
     """The pairs (a, b) whose full sets are similar enough."""
-    both = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("hashes").alias("y")), "b")
+    both = pairs.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("x")), "a").join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("y")), "b")
 
     def run(batches):
         for batch in batches:
@@ -209,95 +227,132 @@ def near_duplicates(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept.
 
     Documents with the same word sequence form a class, and one of each class, that with the
-    smallest id, is compared. In each band bucket all meet the smallest id there first; where
+    smallest id, is compared. In each band bucket all meet its first class there first; where
     that leaves a bucket in several components, the pairs between them follow, in blocks, so no
     candidate pair is left out unless its ends are connected anyhow. Candidates pass the b-bit
     estimate, then the comparison of full sets.
 
     A null or empty text, or one of white space, has no shingles and links with nothing. Fewer words
-    than a shingle takes make one shingle of all. Rows that repeat a doc_id get its links jointly.
+    than a shingle takes make one shingle of all. Rows that repeat a doc_id each are a document, and
+    rows that repeat id and text are kept or dropped together. Documents without an id link as others do
+    and rank last: their component_id is the smallest id that they reach, and null, with kept true, if they
+    reach none. An empty table gives no rows; other columns are not looked at.
     """
     sketches = commit(sketch(docs, s), "sketches")
-    classes = commit(sketches.where("set_key is not null").groupBy("set_key").agg(F.min(F.struct("doc_id", "n_shingles", "packed", "bands")).alias("of")).select("set_key", F.col("of.doc_id").alias("rep"), "of.n_shingles", "of.packed", "of.bands"), "classes")
-    banded = classes.select("rep", "n_shingles", "packed", F.explode("bands").alias("band"))
-    buckets = commit(banded.groupBy("band").agg(F.min("rep").alias("first"), F.count("*").alias("n")).where("n > 1"), "buckets")
-    members = commit(banded.select("rep", "band").join(buckets, "band").select("band", "first", "n", "rep"), "bucket-members")
-    known = classes.select("rep", "n_shingles", "packed")
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_key", "n_shingles", "packed", "bands")).alias("of")
+    grouped = sketches.where("set_key is not null").groupBy("set_key").agg(first)
+    # Ids may be null or repeat: classes go by a number of their own, fixed once the table is written.
+    classes = commit(grouped.select("set_key", F.monotonically_increasing_id().alias("node"), "of.doc_id", "of.text_key", "of.n_shingles", "of.packed", "of.bands"), "classes")
+    banded = classes.select("node", F.explode("bands").alias("band"))
+    buckets = commit(banded.groupBy("band").agg(F.min("node").alias("first"), F.count("*").alias("n")).where("n > 1"), "buckets")
+    members = commit(banded.join(buckets, "band").select("band", "first", "n", "node"), "bucket-members")
+    known = classes.select("node", "n_shingles", "packed")
     most = s.most_mismatches()
 
     def likely(pairs: DataFrame) -> DataFrame:
-        x = known.select(F.col("rep").alias("a"), F.col("packed").alias("p"), F.col("n_shingles").alias("m"))
-        y = known.select(F.col("rep").alias("b"), F.col("packed").alias("q"), F.col("n_shingles").alias("n"))
+        x = known.select(F.col("node").alias("a"), F.col("packed").alias("p"), F.col("n_shingles").alias("m"))
+        y = known.select(F.col("node").alias("b"), F.col("packed").alias("q"), F.col("n_shingles").alias("n"))
         both = pairs.join(x, "a").join(y, "b")
         sized = 100 * F.least("m", "n") >= s.percent * F.greatest("m", "n")
         return both.where(sized & (mismatches(F.col("p"), F.col("q"), s) <= most)).select("a", "b").distinct()
 
-    star = commit(likely(members.where("first <> rep").select(F.col("first").alias("a"), F.col("rep").alias("b")).distinct()), "pairs")
-    sets = commit(full_sets_of(docs, members.select(F.col("rep").alias("doc_id")).distinct(), s), "shingle-sets")
+    star = commit(likely(members.where("first <> node").select(F.col("first").alias("a"), F.col("node").alias("b")).distinct()), "pairs")
+    sets = commit(full_sets(docs, members.select("node").distinct().join(classes.select("node", "doc_id", "text_key", "set_key"), "node"), s), "shingle-sets")
     links = commit(confirm(star, sets, s), "links")
     comp = components(links)
-    labelled = members.where("n > 2").join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("band", "rep", F.coalesce("component", "rep").alias("component"))
+    labelled = members.where("n > 2").join(comp, "node", "left").select("band", "node", F.coalesce("component", "node").alias("component"))
     labelled = commit(labelled, "labelled")
-    open_ = commit(labelled.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("n")).where("lo <> hi").select("band", F.ceil(F.col("n") / s.block).cast("int").alias("blocks")), "open-buckets")
-    rows = labelled.join(open_, "band").join(known, "rep").join(sets.withColumnRenamed("doc_id", "rep"), "rep")
-    more = commit(across(rows, s), "links")
+    open_ = labelled.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("band")
+    rows = commit(labelled.join(open_, "band").join(known, "node"), "open-buckets")
+    apart = commit(meetings(rows, lambda n, size: n / (8 * s.block)).groupBy("band", "low", "high").applyInPandas(candidates(s), "band long, node long").distinct(), "open-rows")
+    doubtful = rows.join(apart, ["band", "node"]).join(sets, "node")
+    more = commit(meetings(doubtful, lambda n, size: F.greatest(n / s.block, size * 8 / s.block_bytes), "hashes").groupBy("band", "low", "high").applyInPandas(across(s), "a long, b long"), "links")
     if more.limit(1).count():
         comp = components(links.union(more))
-    component = commit(classes.select("set_key", "rep").join(comp.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component")), "class-components")
+    names = comp.join(classes.select("node", "doc_id"), "node")
+    names = names.join(names.groupBy("component").agg(F.min("doc_id").alias("lowest")), "component").select("node", "lowest")
+    component = commit(classes.select("set_key", "node", "doc_id").join(names, "node", "left").select("set_key", F.coalesce("lowest", "doc_id").alias("component")), "class-components")
+    discard(classes, buckets, members, star, sets, links, labelled, rows, apart, more)
     out = sketches.select("doc_id", "set_key", "n_shingles").join(component, "set_key", "left")
     cid = F.coalesce("component", "doc_id")
     return out.select("doc_id", "n_shingles", cid.alias("component_id"), F.col("doc_id").eqNullSafe(cid).alias("kept"))
 
 
 def keep_one(docs: DataFrame, s: Settings = Settings()) -> DataFrame:
-    """The documents, with all their columns, one of each component."""
+    """The documents, with all their columns, one of each component; of documents without an id, and of rows that repeat an
+    id, all whose id is kept."""
     kept = near_duplicates(docs, s).where("kept").select(F.col("doc_id").alias("kept_id")).distinct()
     return docs.join(kept, docs["doc_id"].cast("long").eqNullSafe(F.col("kept_id")), "left_semi")
 
 
-def full_sets_of(docs: DataFrame, ids: DataFrame, s: Settings) -> DataFrame:
-    # One plan at every size: sent to all tasks, the ids would have to be bounded.
-    return full_sets(plain(docs).join(ids.hint("merge"), "doc_id", "left_semi"), s)
+def meetings(rows: DataFrame, parts, *columns: str) -> DataFrame:
+    """Rows (band, node, component, n_shingles, packed, ...) dealt to pairs of blocks of their bucket; ``parts`` gives the
+    number of blocks from the bucket's rows and shingles."""
+    blocks = rows.groupBy("band").agg(F.greatest(F.lit(1), F.ceil(parts(F.count("*"), F.sum("n_shingles")))).cast("int").alias("blocks"))
+    placed = rows.join(blocks, "band").withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    return placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("band", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "node", "component", "n_shingles", "packed", *columns)
+
+
+class Tile:
+    """The rows of two blocks of a bucket."""
+
+    def __init__(self, key: tuple, part: pd.DataFrame, s: Settings):
+        self.s, self.most, self.fold = s, s.most_mismatches(), U(sum(1 << k for k in range(0, 64, s.bits)))
+        self.ids, self.n = part["node"].to_numpy(np.int64), part["n_shingles"].to_numpy(np.int64)
+        self.comp = part["component"].to_numpy(np.int64).copy()
+        self.packed = np.array(part["packed"].tolist(), np.int64).view(U).reshape(len(part), -1)
+        block = part["block"].to_numpy()
+        self.first, self.second = np.flatnonzero(block == key[1]), np.flatnonzero(block == key[2])
+
+    def partners(self, x: int) -> np.ndarray:
+        """Rows of the second block in other components that are likely to be similar to row x, the likeliest first."""
+        y = self.second
+        y = y[(self.comp[y] != self.comp[x]) & (100 * np.minimum(self.n[y], self.n[x]) >= self.s.percent * np.maximum(self.n[y], self.n[x]))]
+        spread = self.packed[y] ^ self.packed[x]
+        d = spread.copy()
+        for k in range(1, self.s.bits):
+            spread |= d >> U(k)
+        differ = np.bitwise_count(spread & self.fold).sum(1)
+        order = np.argsort(differ, kind="stable")
+        return y[order[differ[order] <= self.most]]
 
 
-def across(rows: DataFrame, s: Settings) -> DataFrame:
-    """Links (a, b) between different components of a bucket, from pairs of its blocks.
+def candidates(s: Settings):
+    """Which rows of a tile have a likely partner in another component, so that full sets go out for these only."""
 
-    A task has the packed minima and the full sets of two blocks. It confirms likely pairs, the likeliest first,
-    and leaves out those whose ends it has connected meanwhile, so it gives fewer links than it has rows.
+    def meet(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
+        t, hit = Tile(key, part, s), np.zeros(len(part), bool)
+        for x in t.first:
+            y = t.partners(x)
+            hit[y] = True
+            hit[x] |= len(y) > 0
+        return pd.DataFrame({"band": key[0], "node": t.ids[hit]}, dtype="int64")
+
+    return meet
+
+
+def across(s: Settings):
+    """Links (a, b) between different components of a bucket, from a tile.
+
+    It confirms likely pairs, the likeliest first, and leaves out those whose ends it has connected meanwhile, so it
+    gives fewer links than it has rows.
     """
-    placed = rows.withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    met = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("band", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "rep", "component", "n_shingles", "packed", "hashes")
-    fold = U(sum(1 << k for k in range(0, 64, s.bits)))
-    most = s.most_mismatches()
 
     def meet(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
-        _, low, high = key
-        ids, n = part["rep"].to_numpy(np.int64), part["n_shingles"].to_numpy(np.int64)
-        comp = part["component"].to_numpy(np.int64).copy()
-        packed = np.array(part["packed"].tolist(), np.int64).view(U).reshape(len(part), -1)
+        t, out = Tile(key, part, s), []
         sets = [np.frombuffer(x, U) for x in part["hashes"]]
-        block = part["block"].to_numpy()
-        xs, ys = np.flatnonzero(block == low), np.flatnonzero(block == high)
-        out = []
-        for x in xs:
-            y = ys[(comp[ys] != comp[x]) & (100 * np.minimum(n[ys], n[x]) >= s.percent * np.maximum(n[ys], n[x]))]
-            d = packed[y] ^ packed[x]
-            spread = d.copy()
-            for k in range(1, s.bits):
-                spread |= d >> U(k)
-            differ = np.bitwise_count(spread & fold).sum(1)
-            order = np.argsort(differ, kind="stable")
-            for z in y[order[differ[order] <= most]]:
-                if comp[z] != comp[x] and similar(sets[x], sets[z], s):
-                    out.append((min(ids[x], ids[z]), max(ids[x], ids[z])))
-                    comp[comp == comp[z]] = comp[x]
+        for x in t.first:
+            for z in t.partners(x):
+                if t.comp[z] != t.comp[x] and similar(sets[x], sets[z], s):
+                    out.append((min(t.ids[x], t.ids[z]), max(t.ids[x], t.ids[z])))
+                    t.comp[t.comp == t.comp[z]] = t.comp[x]
         return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
 
-    return met.groupBy("band", "low", "high").applyInPandas(meet, "a long, b long")
+    return meet
 
 
 def op6(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """All documents at similarity 0.85 of sets of five words; see :func:`near_duplicates`."""
     ready(spark)
     return near_duplicates(docs, OP6)
 
