@@ -1,4 +1,4 @@
-from itertools import product
+from itertools import combinations, product
 from math import comb
 
 import numpy as np
@@ -200,12 +200,46 @@ def test_color_sets():
     assert all(m[a] & m[p] == 0 and m[a] | m[p] == colorsets.masks(6, 4)[s] for s, a, p in zip(rs, ra, rp, strict=True))
 
 
-def test_catalogs_built_by_executors(spark, monkeypatch):
-    want = sorted(map(tuple, colorsets.splits(spark, 6, 4, 1).collect()))
-    small = sorted(map(tuple, colorsets.catalog(spark, 6, 3).collect()))
-    monkeypatch.setattr(colorsets, "MOST_SENT", 3)
-    assert sorted((r.h, r["rank"], r["mask"], r.members) for r in colorsets.catalog(spark, 6, 3).select("h", "rank", "mask", "members").collect()) == small
-    assert sorted(map(tuple, colorsets.splits(spark, 6, 4, 1).collect())) == want
+def test_catalogs_against_plain_sets(spark):
+    for k, h in ((6, 3), (5, 5), (7, 1)):
+        want = sorted((h, colorsets.rank(c), colorsets.mask_of(c), list(c)) for c in combinations(range(k), h))
+        assert sorted(map(tuple, colorsets.catalog(spark, k, h).select("h", "rank", "mask", "members").collect())) == want
+    for k, s, p in ((6, 4, 1), (5, 5, 2), (6, 3, 2)):
+        want = sorted((colorsets.rank(w), colorsets.rank(set(w) - set(c)), colorsets.rank(c), colorsets.mask_of(w), colorsets.mask_of(set(w) - set(c)), colorsets.mask_of(c)) for w in combinations(range(k), s) for c in combinations(w, p))
+        assert sorted(map(tuple, colorsets.splits(spark, k, s, p).collect())) == want
+        assert sorted(zip(*(x.tolist() for x in colorsets.split_arrays(k, s, p)), strict=True)) == sorted(w[:3] for w in want)
+    sets = np.array([[0, 5, 61], [1, 2, 3]])
+    assert colorsets.ranks_of(sets, 62).tolist() == [colorsets.rank(c) for c in sets.tolist()]
+    assert colorsets.sets_of(colorsets.ranks_of(sets, 62), 62, 3).tolist() == sets.tolist()
+
+
+def test_groups_of_on_demand_sums(spark, five):
+    """Each passive set is summed once, for the group of the first color set that asks for it."""
+    for p, s in ((1, 3), (2, 4), (2, 5)):
+        for c in combinations(range(5), p):
+            first = min(colorsets.mask_of(w) for w in combinations(range(5), s) if set(c) <= set(w))
+            assert spark.range(1).select(colorsets.first_superset(F.lit(colorsets.mask_of(c)).cast("long"), s - p)).first()[0] == first
+    want = total(five, CATALOGUE["path5"], "v3").collect()
+    for groups in (1, 3, 50):
+        assert total(five, CATALOGUE["path5"], "v2", Options(groups=groups)).collect() == want
+
+
+def test_kernel_options_agree(spark, five):
+    want = [(r.it, r.total) for r in total(five, CATALOGUE["path4"], "v5").collect()]
+    for o in (Options(order="by_color", width=2), Options(layout="wide", width=2), Options(strategy="grid"), Options(width=3), Options(strategy="broadcast", width=8)):
+        assert [(r.it, r.total) for r in total(five, CATALOGUE["path4"], "v5", o).collect()] == want
+    for bad in (Options(order="x"), Options(layout="x")):
+        with pytest.raises(ValueError):
+            total(five, CATALOGUE["path4"], "v5", bad)
+    with pytest.warns(UserWarning):
+        blocked.check_width(12)
+    assert grid.grid_parts(10, 10) == 2 and grid.grid_parts(1 << 32, 1e9) > 100
+
+
+def test_kernels_raise_on_overflow(spark):
+    big = spark.createDataFrame([(0, 1, 0, [2**40, 2**40])], "it int, v long, blk int, x array<long>")
+    with pytest.raises(Exception, match="exceed 64 bits"):
+        blocked.multiply_add(big, big, 2, 2, 1, 2, "long").collect()
 
 
 def test_colors_are_the_same_everywhere(spark, five):

@@ -1,12 +1,15 @@
 """Count tables in blocks of Z color sets: (it, v, blk, x), x being an array of up to Z counts in rank order.
 
 Two kernels work on them. The neighbour sum is a sparse matrix times Z columns at a time: a join and
-Z sums in one aggregate. The multiply-add runs over Arrow batches, one numpy operation per split on
-all vertices of a batch, so no row is touched by itself.
+Z sums in one aggregate. The multiply-add needs nearly all blocks of both children for any block of the
+result, so these meet once for each vertex; it then runs over slices of vertices whose bytes are bounded,
+an array of splits at a time, so no row is touched by itself.
 """
 
 from __future__ import annotations
 
+import warnings
+from functools import reduce
 from math import comb
 
 import numpy as np
@@ -15,6 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.colorsets import split_arrays
+from ..storage import sent
 
 DTYPES = {"long": np.int64, "double": np.float64, "float": np.float32}
 #: Up to this many splits "auto" writes the multiply-add as SQL expressions.
@@ -32,6 +36,8 @@ def blocks(k: int, size: int, z: int) -> int:
 def check_width(z: int) -> int:
     if z < 1:
         raise ValueError("the batch width must be positive")
+    if z % 8 and z > 1:
+        warnings.warn(f"a batch width of {z} is no multiple of 8, the counts in a vector register or cache line", stacklevel=2)
     return z
 
 
@@ -43,9 +49,10 @@ def leaf_blocks(coloring: DataFrame, k: int, z: int, cnt_type: str = "double") -
 
 
 def neighbor_sum(edges: DataFrame, m: DataFrame, w: int, cnt_type: str = "double", broadcast: bool = False) -> DataFrame:
-    """Z columns in one pass over the edges. ``w`` sums stay below the field limit of generated code up to 64 or so."""
+    """Z columns in one pass over the edges. ``w`` sums stay below the field limit of generated code up to 64 or so.
+    ``broadcast`` sends a small table to all tasks."""
     side = m.select("it", F.col("v").alias("dst"), "blk", "x")
-    rows = edges.join(F.broadcast(side) if broadcast else side, "dst")
+    rows = edges.join(sent(side, 64 + 8 * w) if broadcast else side, "dst")
     sums = rows.groupBy("it", F.col("src").alias("v"), "blk").agg(*[F.sum(F.get("x", F.lit(i))).alias(f"s{i}") for i in range(w)])
     return sums.select("it", "v", "blk", F.array(*[F.col(f"s{i}").cast(cnt_type) for i in range(w)]).alias("x"))
 
@@ -60,21 +67,27 @@ def whole_rows(m: DataFrame, count: int, z: int, name: str, cnt_type: str = "dou
     return byblk.select("it", "v", F.concat(*parts).alias(name))
 
 
-def multiply_add(a: DataFrame, s: DataFrame, k: int, size: int, passive: int, z: int, cnt_type: str = "double", impl: str = "arrow") -> DataFrame:
+def multiply_add(a: DataFrame, s: DataFrame, k: int, size: int, passive: int, z: int, cnt_type: str = "double", impl: str = "arrow", order: str = "by_vertex") -> DataFrame:
     """M_s[:, i] += M_a[:, j] * S_p[:, l] over all splits (i, j, l).
 
-    impl: "arrow" (numpy columns), "expr" (generated sums), "hof" (higher-order functions), "auto".
+    impl: "arrow" (numpy columns), "expr" (generated sums), "hof" (higher-order functions), "auto". order: "by_vertex" has
+    a task finish all color sets of its vertices, "by_color" goes through all vertices for one block of color sets after the other.
     """
     active = size - passive
     x = whole_rows(a, blocks(k, active, z), z, "xa", cnt_type)
     y = whole_rows(s, blocks(k, passive, z), z, "xp", cnt_type)
     both = x.join(y, ["it", "v"]).select("it", "v", "xa", "xp")
-    rs, ra, rp = split_arrays(k, size, passive)
-    if impl == "auto":
-        impl = "expr" if len(rs) <= MOST_EXPRESSIONS else "arrow"
     n, w = comb(k, size), width(k, size, z)
+    if impl == "auto":
+        impl = "expr" if n * comb(size, passive) <= MOST_EXPRESSIONS else "arrow"
+    if order not in ("by_vertex", "by_color"):
+        raise ValueError("order must be by_vertex or by_color")
     if impl == "arrow":
-        return arrow_multiply_add(both, k, size, passive, w, cnt_type)
+        if order == "by_vertex":
+            return arrow_multiply_add(both, k, size, passive, w, cnt_type)
+        parts = [arrow_multiply_add(both, k, size, passive, w, cnt_type, b) for b in range(blocks(k, size, z))]
+        return reduce(DataFrame.union, parts)
+    rs, ra, rp = split_arrays(k, size, passive)
     starts = np.searchsorted(rs, np.arange(n + 1))
     if impl == "expr":
         cells = [sum((F.get("xa", F.lit(int(ra[t]))) * F.get("xp", F.lit(int(rp[t]))) for t in range(starts[i] + 1, starts[i + 1])), F.get("xa", F.lit(int(ra[starts[i]]))) * F.get("xp", F.lit(int(rp[starts[i]])))) for i in range(n)]
@@ -94,36 +107,42 @@ def multiply_add(a: DataFrame, s: DataFrame, k: int, size: int, passive: int, z:
     return out.select("it", "v", F.explode(pieces).alias("p")).select("it", "v", "p.blk", "p.x").where(F.exists("x", lambda e: e != 0))
 
 
-def arrow_multiply_add(both: DataFrame, k: int, size: int, passive: int, w: int, cnt_type: str) -> DataFrame:
+def arrow_multiply_add(both: DataFrame, k: int, size: int, passive: int, w: int, cnt_type: str, only: int | None = None) -> DataFrame:
+    """only: the one block of the result to make."""
     kind = DTYPES[cnt_type]
     arrow = pa.from_numpy_dtype(kind)
-    n = comb(k, size)
-    count = -(-n // w)
+    n, per = comb(k, size), comb(size, passive)
+    some = range(-(-n // w)) if only is None else [only]
 
     def columns(array: pa.Array) -> np.ndarray:
-        """Batch rows as a column-major matrix. flatten() heeds a slice's offset, values doesn't."""
+        """A color set in each row, a vertex in each column. flatten() heeds a slice's offset, values doesn't."""
         flat = array.flatten().to_numpy(zero_copy_only=False)
-        return np.asfortranarray(flat.reshape(len(array), -1)).astype(kind, copy=False)
+        return np.ascontiguousarray(flat.reshape(len(array), -1).T).astype(kind, copy=False)
 
     def run(batches):
-        rs, ra, rp = split_arrays(k, size, passive)
-        starts = np.searchsorted(rs, np.arange(n + 1))
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            xa, xp = columns(batch.column(2)), columns(batch.column(3))
-            for b in range(count):
-                lo, hi = b * w, min(n, b * w + w)
-                out = np.zeros((batch.num_rows, w), kind, order="F")
-                for i in range(lo, hi):
-                    for t in range(starts[i], starts[i + 1]):
-                        out[:, i - lo] += xa[:, ra[t]] * xp[:, rp[t]]
-                keep = np.flatnonzero(out.any(1))
-                if len(keep):
-                    flat = pa.array(np.ascontiguousarray(out[keep]).ravel(), arrow)
-                    lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(flat) + 1, w, dtype=np.int32)), flat)
-                    pick = pa.array(keep)
-                    yield pa.RecordBatch.from_arrays([batch.column(0).take(pick), batch.column(1).take(pick), pa.array(np.full(len(keep), b, np.int32)), lists], names=["it", "v", "blk", "x"])
+            # Rows at a time, so that their counts stay below 64 MB and the products of one color set below 32 MB.
+            rows = max(16, min((64 << 20) // (8 * (comb(k, size - passive) + comb(k, passive) + w)), (32 << 20) // (8 * per)))
+            for at in range(0, batch.num_rows, rows):
+                part = batch.slice(at, rows)
+                xa, xp = columns(part.column(2)), columns(part.column(3))
+                wide = kind is np.int64 and xa.size and float(xa.max()) * float(xp.max()) * per >= 2.0**63
+                group = max(1, (32 << 20) // (8 * per * part.num_rows))
+                for b in some:
+                    low, high = b * w, min(n, b * w + w)
+                    out = np.zeros((w, part.num_rows), kind)
+                    for first in range(low, high, group):
+                        last = min(high, first + group)
+                        _, ra, rp = split_arrays(k, size, passive, first, last)
+                        if wide and ((xa[ra].astype(float) * xp[rp]).reshape(last - first, per, -1).sum(1) >= 2.0**63).any():
+                            raise OverflowError("counts exceed 64 bits; use cnt_type double, or decimal in the relational programs")
+                        out[first - low : last - low] = (xa[ra] * xp[rp]).reshape(last - first, per, -1).sum(1)
+                    keep = np.flatnonzero(out.any(0))
+                    if len(keep):
+                        flat = pa.array(np.ascontiguousarray(out[:, keep].T).ravel(), arrow)
+                        lists = pa.ListArray.from_arrays(pa.array(np.arange(0, len(flat) + 1, w, dtype=np.int32)), flat)
+                        pick = pa.array(keep)
+                        yield pa.RecordBatch.from_arrays([part.column(0).take(pick), part.column(1).take(pick), pa.array(np.full(len(keep), b, np.int32)), lists], names=["it", "v", "blk", "x"])
 
     return both.mapInArrow(run, f"it int, v long, blk int, x array<{cnt_type}>")
 
@@ -134,7 +153,7 @@ def to_relational(m: DataFrame, k: int, size: int, w: int) -> DataFrame:
 
     cells = m.select("it", "v", (F.col("blk") * w).alias("base"), F.posexplode("x").alias("pos", "cnt")).where("cnt <> 0")
     ranks = catalog(m.sparkSession, k, size).select("rank", "mask")
-    return cells.select("it", "v", (F.col("base") + F.col("pos")).alias("rank"), "cnt").join(F.broadcast(ranks), "rank").select("it", "v", "mask", "cnt")
+    return cells.select("it", "v", (F.col("base") + F.col("pos")).alias("rank"), "cnt").join(ranks, "rank").select("it", "v", "mask", "cnt")
 
 
 def to_wide(m: DataFrame, w: int) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -10,11 +12,16 @@ from pyspark.sql import functions as F
 from .blocked import DTYPES, neighbor_sum
 
 
+def grid_parts(edge_rows: int, cells: float, most_bytes: int = 64 << 20) -> int:
+    """Ranges for a grid whose cells hold at most so many bytes of edges (16 each) and of counts (8 each; ``cells`` in all)."""
+    return max(2, math.ceil(max(math.sqrt(16 * edge_rows / most_bytes), 8 * cells / most_bytes)))
+
+
 def grid_sum(edges: DataFrame, m: DataFrame, w: int, parts: int = 4, cnt_type: str = "double") -> DataFrame:
     """Vertices are dealt to ``parts`` ranges and edges to parts x parts cells; each cell meets the counts of its column once.
 
     A count then travels ``parts`` times and not once for each edge, which pays on networks whose average degree
-    is above ``parts``. Partial sums of a row of cells are added at the end.
+    is above ``parts``; :func:`grid_parts` says how many a cell's memory takes. Partial sums of a row of cells are added at the end.
     """
     kind = DTYPES[cnt_type]
     cell = lambda c: F.pmod(F.xxhash64(c), F.lit(parts)).cast("int")
@@ -47,7 +54,8 @@ def hub_sum(edges: DataFrame, m: DataFrame, w: int, most: int = 100_000, most_hu
     """As the plain sum, with the counts of vertices that more than ``most`` edges lead to sent to all tasks.
 
     Those hubs would fill one partition of the join each. There are at most nE / ``most`` of them; beyond
-    ``most_hubs`` only the largest are sent and the rest is left to the skew handling of adaptive execution.
+    ``most_hubs`` only the largest are sent and the rest is left to the skew handling of adaptive execution. Where their
+    counts have too many blocks and iterations to be sent, they are joined as all others are.
     """
     degree = edges.groupBy("dst").agg(F.count("*").alias("d")).where(F.col("d") > most)
     hubs = F.broadcast(degree.orderBy(F.desc("d"), "dst").limit(most_hubs).select("dst"))

@@ -14,7 +14,9 @@ def relative_error(a: DataFrame, b: DataFrame, on: list[str], value: str) -> Dat
 
 
 def estimate_error(estimates: DataFrame, exact: float) -> DataFrame:
-    """it, rel_error of each estimate."""
+    """it, rel_error of each estimate; with exact as 0 that of another estimate than 0 is null."""
+    if not exact:
+        return estimates.select("it", F.when(F.col("estimate") == 0, 0.0).alias("rel_error"))
     return estimates.select("it", (F.abs(F.col("estimate") - exact) / exact).alias("rel_error"))
 
 

@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import reduce
 from math import comb
 
 from pyspark.sql import DataFrame
@@ -28,7 +29,8 @@ MOST_ROWS = 5e9
 
 @dataclass(frozen=True)
 class Options:
-    """policy says where tables go (see storage.settle); width is the number Z of color sets in a block."""
+    """policy says where tables go (see storage.settle); width is the number Z of color sets in a block; layout is "blocked"
+    (an array of Z counts) or "wide" (Z columns) in the neighbour sum; parts of the grid: by default what its cells' memory takes."""
 
     seed: int = 42
     iterations: tuple[int, ...] = (0,)
@@ -41,7 +43,9 @@ class Options:
     width: int = 64
     impl: str = "arrow"
     strategy: str = "join"
-    parts: int = 4
+    layout: str = "blocked"
+    order: str = "by_vertex"
+    parts: int | None = None
     groups: int = 2
     force: bool = False
 
@@ -55,53 +59,55 @@ class Run:
     options: Options
     tables: dict[str, DataFrame] = field(default_factory=dict)
     sums: dict[str, DataFrame] = field(default_factory=dict)
+    kept: list[DataFrame] = field(default_factory=list)
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
-        return settle(df, self.options.policy, name)
+        out = settle(df, self.options.policy, name)
+        if self.options.policy == "persist":
+            self.kept.append(out)
+        return out
 
     def sum_of(self, key: str, make: Callable[[], DataFrame]) -> DataFrame:
         if key not in self.sums:
             self.sums[key] = self.keep(make(), "sum")
         return self.sums[key]
 
-    def splits(self, s: SubTemplate) -> DataFrame:
-        return colorsets.splits(self.graph.edges.sparkSession, self.k, s.size, s.passive_size)
-
 
 def step_v0(run: Run, s: SubTemplate) -> DataFrame:
-    o = run.options
-    return relational.per_split(run.graph.edges, run.tables[s.active], run.tables[s.passive], run.splits(s).select("mask_a", "mask_p", "mask_s"), o.cnt_type)
+    return relational.per_split(run.graph.edges, run.tables[s.active], run.tables[s.passive], run.k, s.passive_size, run.options.cnt_type)
 
 
 def step_v1(run: Run, s: SubTemplate) -> DataFrame:
-    o = run.options
-    return relational.factored(run.graph.edges, run.tables[s.active], run.tables[s.passive], run.splits(s).select("mask_a", "mask_p", "mask_s"), o.cnt_type)
+    return relational.factored(run.graph.edges, run.tables[s.active], run.tables[s.passive], run.k, s.active_size, run.options.cnt_type)
 
 
 def step_v2(run: Run, s: SubTemplate) -> DataFrame:
-    """Color sets come in groups; a group sums over neighbours only for passive sets that no earlier group has met."""
+    """Color sets come in groups, in the order of their ranks. A group has the neighbour sums made for those of its passive
+    sets that no earlier group asked for, adds them to the memo, and then takes all its sums from there."""
     o = run.options
-    rs, _, rp = colorsets.split_arrays(run.k, s.size, s.passive_size)
-    masks = colorsets.masks(run.k, s.passive_size)
-    first: dict[int, int] = {}
-    for a, b in zip(rs.tolist(), rp.tolist(), strict=True):
-        first.setdefault(b, a)
-    count = comb(run.k, s.size)
-    memo = run.sums.get(s.passive)
-    if memo is None:
-        for g in range(o.groups):
-            met = [int(masks[b]) for b, a in first.items() if a * o.groups // count == g]
-            if met:
-                part = relational.neighbor_sum(run.graph.edges, run.tables[s.passive].where(F.col("mask").isin(met)), o.cnt_type)
-                memo = part if memo is None else memo.union(part)
-        run.sums[s.passive] = memo = run.keep(memo, "sum")
-    return relational.multiply_add(run.tables[s.active], memo, o.cnt_type)
+    masks = colorsets.masks(run.k, s.size)
+    keep = (lambda df, name: settle(df, "table", name)) if o.policy == "plan" else run.keep  # the memo is read by every group
+    # Ascending masks are ascending ranks, so a group is a range of masks.
+    edge = [*(int(masks[i]) if (i := -(-g * len(masks) // o.groups)) < len(masks) else 1 << run.k for g in range(o.groups)), 1 << run.k]
+    asked = colorsets.first_superset(F.col("mask"), s.size - s.passive_size)
+    memo, out = run.sums.get(s.passive), None
+    known = memo is not None
+    for low, high in zip(edge, edge[1:], strict=False):
+        if low == high:
+            continue
+        if not known:
+            new = keep(relational.neighbor_sum(run.graph.edges, run.tables[s.passive].where((asked >= low) & (asked < high)), o.cnt_type), "sum")
+            memo = new if memo is None else memo.union(new)
+        part = relational.multiply_add(run.tables[s.active], memo, o.cnt_type, (low, high))
+        out = part if out is None else out.union(part)
+    run.sums[s.passive] = memo
+    return keep(out, "count")
 
 
 def step_v3(run: Run, s: SubTemplate) -> DataFrame:
     o = run.options
     sums = run.sum_of(s.passive, lambda: relational.neighbor_sum(run.graph.edges, run.tables[s.passive], o.cnt_type))
-    return relational.looked_up(run.tables[s.active], sums, run.splits(s).select("mask_a", "mask_p", "mask_s"), o.cnt_type)
+    return relational.looked_up(run.tables[s.active], sums, run.k, s.passive_size, o.cnt_type)
 
 
 def step_relational(run: Run, s: SubTemplate) -> DataFrame:
@@ -110,26 +116,37 @@ def step_relational(run: Run, s: SubTemplate) -> DataFrame:
     return relational.multiply_add(run.tables[s.active], sums, o.cnt_type)
 
 
-def traverse(run: Run, table: DataFrame, w: int) -> DataFrame:
+def traverse(run: Run, table: DataFrame, size: int, w: int) -> DataFrame:
     o = run.options
     if o.strategy == "grid":
-        return grid.grid_sum(run.graph.edges, table, w, o.parts, o.cnt_type)
+        parts = o.parts
+        if parts is None:
+            parts = grid.grid_parts(run.graph.rows or run.graph.edges.count(), run.graph.vertices.count() * len(o.iterations) * comb(run.k, size))
+        return grid.grid_sum(run.graph.edges, table, w, parts, o.cnt_type)
     if o.strategy == "hubs":
         return grid.hub_sum(run.graph.edges, table, w, cnt_type=o.cnt_type)
+    if o.layout == "wide":
+        sums = blocked.neighbor_sum_wide(run.graph.edges, blocked.to_wide(table, w), w)
+        return sums.select("it", "v", "blk", F.array(*[F.col(f"c{i}").cast(o.cnt_type) for i in range(w)]).alias("x"))
     return blocked.neighbor_sum(run.graph.edges, table, w, o.cnt_type, o.strategy == "broadcast")
 
 
 def step_v4(run: Run, s: SubTemplate) -> DataFrame:
     """One pass over the edges for each passive column, then one multiply-add for each split."""
-    z = 1
-    sums = run.sum_of(s.passive, lambda: traverse(run, run.tables[s.passive], 1))
-    return blocked.multiply_add(run.tables[s.active], sums, run.k, s.size, s.passive_size, z, run.options.cnt_type, run.options.impl)
+
+    def columns():
+        table = settle(run.tables[s.passive], "table" if run.options.policy == "plan" else "plan", "columns")
+        passes = [traverse(run, table.where(F.col("blk") == c), s.passive_size, 1) for c in range(comb(run.k, s.passive_size))]
+        return reduce(DataFrame.union, passes)
+
+    sums = run.sum_of(s.passive, columns)
+    return blocked.multiply_add(run.tables[s.active], sums, run.k, s.size, s.passive_size, 1, run.options.cnt_type, run.options.impl, run.options.order)
 
 
 def step_v5(run: Run, s: SubTemplate) -> DataFrame:
     z = run.options.width
-    sums = run.sum_of(s.passive, lambda: traverse(run, run.tables[s.passive], blocked.width(run.k, s.passive_size, z)))
-    return blocked.multiply_add(run.tables[s.active], sums, run.k, s.size, s.passive_size, z, run.options.cnt_type, run.options.impl)
+    sums = run.sum_of(s.passive, lambda: traverse(run, run.tables[s.passive], s.passive_size, blocked.width(run.k, s.passive_size, z)))
+    return blocked.multiply_add(run.tables[s.active], sums, run.k, s.size, s.passive_size, z, run.options.cnt_type, run.options.impl, run.options.order)
 
 
 STEPS = {"v0": step_v0, "v1": step_v1, "v2": step_v2, "v3": step_v3, "v4": step_v4, "v5": step_v5, "relational": step_relational}
@@ -140,6 +157,8 @@ def start(graph: Graph, k: int, variant: str, o: Options) -> tuple[Run, DataFram
     run = Run(graph, k, o)
     if variant in ("v4", "v5"):
         blocked.check_width(o.width)
+        if o.layout not in ("blocked", "wide"):
+            raise ValueError("layout must be blocked or wide")
         if o.cnt_type not in blocked.DTYPES:
             raise ValueError("blocks hold long, double or float counts")
         return run, blocked.leaf_blocks(coloring, k, 1 if variant == "v4" else o.width, o.cnt_type)

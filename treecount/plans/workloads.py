@@ -4,106 +4,179 @@ from __future__ import annotations
 
 import time
 from collections.abc import Iterable
+from math import comb
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources import sinks
-from ..sources.graphs import BUILDERS, Graph, sample_edges, settle, stats
+from ..operators import blocked
+from ..operators.relational import total_of
+from ..sources.graphs import BUILDERS, Graph, copies, sample_edges, settle, stats
+from ..storage import settle as keep_table
 from . import cost, metrics
 from .estimator import factor
 from .templates import CATALOGUE, partition
-from .variants import Options, count_many, counts, total
+from .variants import Options, count_many, counts, start, tables, traverse
 
-TIMING = "graph string, template string, variant string, seconds double, edge_ops double, vertex_ops double, flops double"
+TIMING = "graph string, template string, variant string, vertices long, edges long, total string, edge_ops double, vertex_ops double, flops double, seconds double"
 
 
-def timed(graph: Graph, template: str, variant: str, options: Options) -> float:
+def timed(graph: Graph, template: str, variant: str, options: Options) -> tuple[float, float]:
+    """Seconds of one run and its total for the first coloring; whatever the run kept in memory goes with it."""
     began = time.perf_counter()
-    sinks.nowhere(total(graph, CATALOGUE[template], variant, options))
-    return time.perf_counter() - began
+    run, (key,) = tables(graph, CATALOGUE[template], variant, options)
+    m = run.tables[key]
+    cell = F.get("x", F.lit(0)) if variant in ("v4", "v5") else F.col("cnt")
+    row = m.where(F.col("it") == options.iterations[0]).agg(total_of(cell, options.cnt_type).alias("total")).first()
+    seconds = time.perf_counter() - began
+    for kept in run.kept:
+        kept.unpersist()
+    return seconds, row.total or 0
 
 
-def run_matrix(spark: SparkSession, sf_dir: str, graphs: Iterable[str], templates: Iterable[str], variants: Iterable[str], options: Options = Options(cnt_type="double", policy="persist"), repeat: int = 1, budget: float = 600.0) -> DataFrame:
-    """Seconds of each graph, template and variant (the best of ``repeat``) with the operations that the model counts.
+def text_of(value) -> str:
+    """Whole numbers in full, others to nine digits."""
+    return f"{value:.8e}" if isinstance(value, float) else str(int(value))
 
-    A variant that exceeds ``budget`` on a graph isn't given that graph's larger templates; its rows are absent.
+
+def run_matrix(spark: SparkSession, sf_dir: str, graphs: Iterable[str], templates: Iterable[str], variants: Iterable[str], options: Options = Options(), repeat: int = 1, budget: float = 600.0, skip: Iterable[tuple[str, str]] = ()) -> DataFrame:
+    """Each graph, template and variant: the total, the operations that the model counts, and seconds (the best of ``repeat``).
+
+    A variant that exceeds ``budget`` on a graph isn't given that graph's larger templates, nor a (template, variant) of
+    ``skip``; their rows are absent.
     """
     rows = []
     for name in graphs:
-        g = settle(BUILDERS[name](spark, sf_dir), "persist")
-        n = g.vertices.count()
-        for variant in variants:
-            for t in sorted(templates, key=lambda x: CATALOGUE[x].size):
-                best = min(timed(g, t, variant, options) for _ in range(repeat))
-                steps = [cost.subtemplate_ops(variant, CATALOGUE[t].size, s.size, s.passive_size, n, g.rows) for s in partition(CATALOGUE[t]) if s.active]
-                e, v = (float(sum(x[i] for x in steps)) for i in range(2))
-                rows.append((name, t, variant, best, e, v, e + 2 * v))
-                spark.catalog.clearCache()
-                g.edges.persist()
-                if best > budget:
-                    break
-        g.edges.unpersist()
+        rows += measure(name, settle(BUILDERS[name](spark, sf_dir), "table"), templates, variants, options, repeat, budget, skip)
     return spark.createDataFrame(rows, TIMING)
 
 
-def growing_templates(spark, d, graphs=("copart", "custpart", "user_next"), templates=("path3", "path5", "bin7"), **kw) -> DataFrame:
-    """Three programs, growing templates."""
-    return run_matrix(spark, d, graphs, templates, ("v0", "v3", "v5"), **kw)
+def measure(name: str, g: Graph, templates, variants, options: Options, repeat: int = 1, budget: float = 600.0, skip=()) -> list[tuple]:
+    """Rows of :func:`run_matrix` for one network."""
+    rows, n = [], g.vertices.count()
+    for variant in variants:
+        for t in sorted(templates, key=lambda x: CATALOGUE[x].size):
+            if (t, variant) in skip:
+                continue
+            seconds, total = min(timed(g, t, variant, options) for _ in range(repeat))
+            steps = [cost.subtemplate_ops(variant, CATALOGUE[t].size, s.size, s.passive_size, n, g.rows) for s in partition(CATALOGUE[t]) if s.active]
+            e, v = (float(sum(x[i] for x in steps)) for i in range(2))
+            rows.append((name, t, variant, n, g.rows, text_of(total), e, v, e + 2 * v, seconds))
+            if seconds > budget:
+                break
+    return rows
 
 
-def size_scaling(spark, dirs: list[str], template: str = "path5", **kw) -> DataFrame:
-    """The same network at several sizes and about equal average degree."""
-    out = None
-    for d in dirs:
-        part = run_matrix(spark, d, ("custpart",), (template,), ("v0", "v3", "v5"), **kw).withColumn("size", F.lit(d.rsplit("/", 1)[-1]))
-        out = part if out is None else out.unionByName(part)
-    return out
+def growing_templates(spark, d, graphs=("user_next",), templates=("path3", "path5", "bin7", "t10", "t12"), skip=(("t10", "v0"), ("t12", "v0")), **kw) -> DataFrame:
+    """Three programs, growing templates; the baseline is left out where it would run for minutes even on small tables."""
+    return run_matrix(spark, d, graphs, templates, ("v0", "v3", "v5"), skip=skip, **{"options": Options(cnt_type="double"), **kw})
 
 
-def skew(spark, d, template: str = "path5", equal_edges: bool = True, options: Options = Options(cnt_type="double", policy="persist")) -> DataFrame:
-    """Rising skew, by default at the edge count of the most skewed network, since skew also merges repeated draws; with the degrees beside the times."""
+def size_scaling(spark, d, graph: str = "custpart", sizes=(1, 2, 4), template: str = "path4", options: Options = Options()) -> DataFrame:
+    """The same network once, twice and four times over: larger, at equal average degree."""
+    rows = []
+    for n in sizes:
+        rows += measure(f"{graph}x{n}", settle(copies(BUILDERS[graph](spark, d), n), "table"), (template,), ("v0", "v3", "v5"), options)
+    return spark.createDataFrame(rows, TIMING)
+
+
+def skew(spark, d, template: str = "path4", options: Options = Options()) -> DataFrame:
+    """Rising skew at the edge count of the network that has fewest, since skew also merges repeated draws; with degrees and balance beside the totals."""
     names = ("skew3", "skew5", "skew8")
-    gs = {n: settle(BUILDERS[n](spark, d), "persist") for n in names}
+    gs = {n: settle(BUILDERS[n](spark, d), "table") for n in names}
     least = min(g.rows for g in gs.values()) // 2
     out = None
     for n, g in gs.items():
-        g = settle(sample_edges(g, least), "persist") if equal_edges else g
-        rows = [(n, v, timed(g, template, v, options)) for v in ("v0", "v3", "v5")]
-        part = spark.createDataFrame(rows, "graph string, variant string, seconds double").crossJoin(stats(g))
+        g = settle(sample_edges(g, least), "table")
+        part = spark.createDataFrame(measure(n, g, (template,), ("v0", "v3", "v5"), options), TIMING).crossJoin(stats(g).select("avg_degree", "max_degree"))
         out = part if out is None else out.unionByName(part)
     return out
 
 
 def degree_effect(spark, d, template: str = "path4", **kw) -> DataFrame:
-    """Networks of rising average degree."""
-    return run_matrix(spark, d, ("geo", "custpart", "supppart", "copart"), (template,), ("v0", "v5"), **kw)
+    """Networks of rising average degree, and how many times fewer edge touches the kernels have there."""
+    runs = run_matrix(spark, d, ("geo", "custpart", "supppart", "copart"), (template,), ("v0", "v5"), **kw)
+    return runs.withColumn("avg_degree", F.round(F.col("edges") / F.col("vertices"), 4))
 
 
-def pruning(spark, d, graphs=("geo", "custpart", "supppart", "custsupp", "user_next", "copart"), templates=("path4", "path5"), **kw) -> DataFrame:
-    """The steps of pruning by themselves, as speedups over the baseline."""
-    return metrics.speedup(run_matrix(spark, d, graphs, templates, ("v0", "v1", "v2", "v3"), **kw))
+def pruning(spark, d, graphs=("geo", "custpart", "supppart", "custsupp", "user_next", "copart"), templates=("path4",), **kw) -> DataFrame:
+    """The steps of pruning by themselves."""
+    return run_matrix(spark, d, graphs, templates, ("v0", "v1", "v2", "v3"), **kw)
 
 
-def vectorisation(spark, d, graph: str = "copart", template: str = "bin7", widths=(8, 16, 64), impls=("arrow", "expr")) -> DataFrame:
+def vectorisation(spark, d, graph: str = "user_next", template: str = "path5", widths=(8, 16, 64, 128, 256), impls=("arrow", "expr", "hof")) -> DataFrame:
     """Pruned against column and batched kernels, by batch width and form of the multiply-add."""
-    g = settle(BUILDERS[graph](spark, d), "persist")
-    rows = [("v3", 0, "", timed(g, template, "v3", Options(cnt_type="double", policy="persist")))]
-    rows += [("v5", w, i, timed(g, template, "v5", Options(cnt_type="double", policy="persist", width=w, impl=i))) for w in widths for i in impls]
-    return spark.createDataFrame(rows, "variant string, width int, impl string, seconds double")
+    g = settle(BUILDERS[graph](spark, d), "table")
+    runs = [("v3", 0, "", Options()), ("v4", 1, "arrow", Options())]
+    runs += [("v5", w, i, Options(width=w, impl=i)) for w in widths for i in impls]
+    rows = []
+    for v, w, i, o in runs:
+        seconds, total = timed(g, template, v, o)
+        rows.append((template, v, w, i, text_of(total), seconds))
+    return spark.createDataFrame(rows, "template string, variant string, width int, impl string, total string, seconds double")
 
 
-def rounding(spark, d, graph: str = "copart", templates=("path5", "spider6", "bin7"), exact: str = "decimal") -> DataFrame:
-    """Relative difference of float and double kernels from the exact decimal baseline, by template size."""
-    g = settle(BUILDERS[graph](spark, d), "persist")
-    out = None
+def rounding(spark, d, graph: str = "user_next", templates=("path5", "spider6", "bin7", "t10", "t12"), exact: str = "decimal") -> DataFrame:
+    """Relative difference of float and double kernels from the exact decimal program, by template size."""
+    g = settle(BUILDERS[graph](spark, d), "table")
+    rows = []
     for t in templates:
-        true = total(g, CATALOGUE[t], "v3", Options(cnt_type=exact, policy="persist"))
+        true = int(timed(g, t, "v3", Options(cnt_type=exact))[1])
         for kind in ("float", "double"):
-            part = metrics.relative_error(total(g, CATALOGUE[t], "v5", Options(cnt_type=kind, policy="persist")), true, ["it"], "total")
-            part = part.select(F.lit(t).alias("template"), F.lit(CATALOGUE[t].size).alias("k"), F.lit(kind).alias("cnt_type"), "rel_error")
-            out = part if out is None else out.unionByName(part)
-    return out
+            found = float(timed(g, t, "v5", Options(cnt_type=kind))[1])
+            rows.append((t, CATALOGUE[t].size, kind, str(true), abs(found - true) / true if true else 0.0))
+    return spark.createDataFrame(rows, "template string, k int, cnt_type string, total string, rel_error double")
+
+
+def kernel_split(spark, d, graph: str = "user_next", template: str = "bin7", options: Options = Options(cnt_type="double")) -> DataFrame:
+    """Seconds, operations and bytes of the two kernels, step by step, in job groups of their names; shares of the time.
+
+    bytes is what a kernel reads and writes at least: edges and Z counts an edge, and the sums; both children and the result.
+    """
+    g = settle(BUILDERS[graph](spark, d), "table")
+    t, sc, n, rows = CATALOGUE[template], spark.sparkContext, g.vertices.count(), []
+    run, leaf = start(g, t.size, "v5", options)
+
+    def step(kernel: str, key: str, df: DataFrame, ops: float, moved: float) -> DataFrame:
+        sc.setJobGroup(kernel, f"{kernel} of {key}")
+        began = time.perf_counter()
+        kept = keep_table(df, "persist")
+        kept.count()
+        rows.append((kernel, key, time.perf_counter() - began, float(ops), float(moved)))
+        sc.setLocalProperty("spark.jobGroup.id", None)
+        return kept
+
+    for s in partition(t):
+        if s.active is None:
+            run.tables[s.key] = step("coloring", s.key, leaf, n, 16 * n)
+            continue
+        z, columns = options.width, comb(t.size, s.passive_size)
+        if s.passive not in run.sums:
+            run.sums[s.passive] = step("traversal", s.passive, traverse(run, run.tables[s.passive], s.passive_size, blocked.width(t.size, s.passive_size, z)), g.rows * columns, g.rows * (16 + 8 * columns) + 8 * n * columns)
+        made, active = comb(t.size, s.size), comb(t.size, s.active_size)
+        both = blocked.multiply_add(run.tables[s.active], run.sums[s.passive], t.size, s.size, s.passive_size, z, options.cnt_type)
+        run.tables[s.key] = step("multiply_add", s.key, both, 2 * n * made * comb(s.size, s.passive_size), 8 * n * (active + columns + made))
+    for kept in {**run.tables, **run.sums}.values():
+        kept.unpersist()
+    out = spark.createDataFrame(rows, "kernel string, sub string, seconds double, flops double, bytes double")
+    per = out.groupBy("kernel").agg(F.sum("seconds").alias("seconds"), F.sum("flops").alias("flops"), F.sum("bytes").alias("bytes"))
+    return per.withColumn("share", F.col("seconds") / sum(r[2] for r in rows)).withColumn("bytes_per_s", F.col("bytes") / F.col("seconds"))
+
+
+def roofline_run(spark, d, graph: str = "user_next", template: str = "bin7") -> DataFrame:
+    """The kernels of :func:`kernel_split` against roofs measured here: multiply-adds in memory and bytes of a copy, each per second of one task."""
+    import numpy as np
+
+    x = np.ones(1 << 20)
+    began = time.perf_counter()
+    for _ in range(50):
+        x * x + x
+    flops = 2 * 50 * len(x) / (time.perf_counter() - began)
+    began = time.perf_counter()
+    for _ in range(50):
+        x.copy()
+    moved = 16 * 50 * len(x) / (time.perf_counter() - began)
+    return metrics.roofline(kernel_split(spark, d, graph, template), flops, moved)
 
 
 def scaling(make_session, cores: Iterable[int], d: str, graph: str = "skew3", template: str = "path5", variants=("v3", "v5")) -> list[tuple[int, str, float]]:
@@ -113,8 +186,8 @@ def scaling(make_session, cores: Iterable[int], d: str, graph: str = "skew3", te
         spark = make_session(n)
         g = settle(BUILDERS[graph](spark, d), "persist")
         for v in variants:
-            timed(g, template, v, Options(cnt_type="double", policy="persist"))  # warm
-            out.append((n, v, timed(g, template, v, Options(cnt_type="double", policy="persist"))))
+            timed(g, template, v, Options(cnt_type="double"))  # warm
+            out.append((n, v, timed(g, template, v, Options(cnt_type="double"))[0]))
         spark.stop()
     return out
 

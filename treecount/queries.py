@@ -13,13 +13,14 @@ from .functions.coloring import color_vertices
 from .operators import exact, grid, relational, windows
 from .operators import blocked as blk
 from .plans import cost, estimator, metrics, workloads
-from .plans.templates import CATALOGUE, automorphisms, partition, plan_frame
+from .plans.templates import CATALOGUE, SHAPES, automorphisms, partition, plan_frame
 from .plans.variants import VARIANTS, Options, count_many, counts, total
 from .sources import graphs
 from .sources.tables import table
 
 DECIMAL = Options(cnt_type="decimal")
 GRAPHS = ("copart", "custpart", "supppart", "custsupp", "user_next", "hour", "geo", "conv", "pages", "skew3", "skew5", "skew8")
+LARGE = ("t10", "t12", "t13", "t14", "t15a", "t15b", "t16", "t17")
 SMALL = ("path3", "path4", "star4", "fork5", "path5")
 
 
@@ -32,19 +33,40 @@ def edge_list(name: str):
 
 
 def colorful(graph: str, template: str, variant: str, options: Options = Options()):
+    """The total of the first coloring: in full, or to nine digits where counts are doubles."""
+
     def run(spark, d):
         g = build(spark, d, graph)
-        return total(g, CATALOGUE[template], variant, options).select(F.lit(template).alias("template"), "it", F.col("total").cast("decimal(38,0)").cast("string").alias("total"))
+        value = F.format_string("%.8e", "total") if options.cnt_type in ("double", "float") else F.col("total").cast("decimal(38,0)").cast("string")
+        return total(g, CATALOGUE[template], variant, options).select(F.lit(template).alias("template"), "it", value.alias("total"))
 
     return run
 
 
+def large(graph: str, template: str, variant: str):
+    """As :func:`colorful` for templates of ten nodes and more, each of whose tables is made once: relational programs with
+    decimals, kernels with doubles."""
+    kind = "double" if variant in ("v4", "v5") else "decimal"
+
+    def run(spark, d):
+        g = graphs.settle(build(spark, d, graph), "table")
+        return colorful_of(g, template, variant, Options(cnt_type=kind, policy="table"))
+
+    return run
+
+
+def colorful_of(g: graphs.Graph, template: str, variant: str, options: Options):
+    return total(g, CATALOGUE[template], variant, options).select(F.lit(template).alias("template"), "it", F.format_string("%.8e", F.col("total").cast("double")).alias("total"))
+
+
 def rooted(graph: str, template: str, variant: str = "v3"):
+    """Rooted counts of the first coloring."""
     return lambda spark, d: counts(build(spark, d, graph), CATALOGUE[template], variant).select("v", F.col("cnt").cast("long").alias("cnt"))
 
 
 def exactly(graph: str, name: str):
-    return lambda spark, d: exact.closed_form(build(spark, d, graph), name).select(F.col("cnt").cast("string").alias("cnt"))
+    """A closed form reads the edges several times, so they are settled first."""
+    return lambda spark, d: exact.closed_form(graphs.settle(build(spark, d, graph), "table"), name).select(F.col("cnt").cast("string").alias("cnt"))
 
 
 def graph_stats(spark, d):
@@ -142,7 +164,7 @@ def round_trip(spark, d):
     """Ranks of all sets of 7 colors computed by SQL functions from their members, beside the catalog's."""
     out = None
     for h in range(1, 8):
-        part = colorsets.catalog(spark, 7, h).select("h", "rank", colorsets.rank_of(F.col("members")).alias("computed"))
+        part = colorsets.catalog(spark, 7, h).select("h", "rank", colorsets.rank_of(F.col("members"), 7).cast("int").alias("computed"))
         out = part if out is None else out.union(part)
     return out
 
@@ -153,23 +175,21 @@ select s.rank as rank_s, a.rank as rank_a, p.rank as rank_p, s.mask as mask_s, a
 from c a join c p on a.h = 2 and p.h = 1 and a.mask & p.mask = 0 join c s on s.mask = a.mask | p.mask"""
 
 
-def fork5_enumerated(spark, d):
-    """The enumeration against SQL, which self-joins and so reads few vertices; ``exact_fork5`` counts in the whole graph."""
-    g = graphs.filter_edges(build(spark, d, "user_next"), "src < 15 and dst < 15")
-    return exact.enumerate_count(g, CATALOGUE["fork5"])
+def enumerated(graph: str, template: str):
+    """Every occurrence in a whole network, laid out by joins."""
+    return lambda spark, d: exact.enumerate_count(graphs.settle(build(spark, d, graph), "table"), CATALOGUE[template])
+
+
+COUNTED = ("path5", "bin7", "t10", "t12")
 
 
 def operations(spark, d):
-    return cost.cost_table(spark, [CATALOGUE[t] for t in ("path5", "bin7", "t10", "t12")], ("v0", "v1", "v3", "v5"), 1000.0, 50000.0)
+    return cost.cost_table(spark, [CATALOGUE[t] for t in COUNTED], ("v0", "v1", "v3", "v5"), 1000.0, 50000.0)
 
 
-def operations_sql() -> str:
-    rows = [f"('{t}', '{s.key}', {CATALOGUE[t].size}, {s.size}, {s.active_size}, {s.passive_size})" for t in ("path5", "bin7", "t10", "t12") for s in partition(CATALOGUE[t]) if s.active]
-    choose = lambda n, m: f"(factorial({n}) // (factorial({m}) * factorial({n} - {m})))"
-    split, walk = f"{choose('k', 's')} * {choose('s', 'p')}", choose("k", "p")
-    return f"""with t(template, sub, k, s, a, p) as (values {', '.join(rows)}), n as (select *, {split} as split, {walk} as walk from t)
-select template, sub, k, s, a, p, (50000 * case when variant in ('v0', 'v1') then split else walk end)::double as edge_ops,
-(1000 * case variant when 'v0' then 0 when 'v3' then split + walk else split end)::double as vertex_ops, variant from n, (values ('v0'), ('v1'), ('v3'), ('v5')) v(variant)"""
+OPERATIONS_SQL = f"""with recursive {sql.parts(COUNTED)}
+select template, sub, k, s, a, p, (50000 * case when variant in ('v0', 'v1') then {sql.SPLIT} else {sql.WALK} end)::double as edge_ops,
+(1000 * case variant when 'v0' then 0 when 'v3' then {sql.SPLIT} + {sql.WALK} else {sql.SPLIT} end)::double as vertex_ops, variant from part, (values ('v0'), ('v1'), ('v3'), ('v5')) v(variant)"""
 
 
 def reuse(spark, d):
@@ -209,38 +229,183 @@ select n::int as n, max(one)::bigint as one, max(one * inner_max)::bigint as two
 
 
 def memory(spark, d):
-    return workloads.memory_table(spark, {"million": 1e6, "three": 3e6}, ("t10", "t12", "t13", "t14", "t15a", "t16", "t17"), 4).select("graph", "template", "k", "widest")
+    return workloads.memory_table(spark, {"million": 1e6, "three": 3e6}, LARGE, 4).select("graph", "template", "k", "widest")
+
+
+MEMORY_SQL = f"""with recursive {sql.parts(LARGE)}
+select graph, template, k, max({sql.choose('k', 's')}) * n * 4 as widest from part, (values ('million', 1e6::double), ('three', 3e6::double)) g(graph, n) group by graph, template, k, n"""
+MODEL = cost.Constants(2e-9, 1e-9, 4e-9)
+
+
+def model(spark, d):
+    """What the cost models say of the large templates, to seven digits."""
+    rows = cost.model_table(spark, [CATALOGUE[t] for t in LARGE], [2.0, 50.0, 200.0], MODEL)
+    return rows.select("template", "k", "d", "splits", "walked", *[rounded(F.col(c), 7).alias(c) for c in rows.columns[5:]])
+
+
+MODEL_SQL = f"""with recursive {sql.parts(LARGE)},
+f as (select template, k, sum({sql.SPLIT})::bigint as splits, sum({sql.WALK})::bigint as walked from part group by all),
+m as (select *, 1e6::double as v, 1e6::double * d as e, k * pow(2.0::double, k - 1) as splits_low, pow(3.0::double, k) / sqrt(k::double) as splits_high from f, (values (2.0::double), (50.0), (200.0)) x(d))
+select template, k, d, splits, walked, {', '.join(f"printf('%.6e', {x}) as {n}" for n, x in {
+    "splits_low": "splits_low", "splits_high": "splits_high", "baseline_growth": "e * splits_high", "kernel_growth": "e * pow(2.0::double, k) + v * splits_high",
+    "baseline_s": "4e-9::double * e * splits", "kernel_s": "2e-9::double * e * walked + 1e-9::double * v * splits", "low": "4e-9::double / (2 * 2e-9::double / k + 1e-9::double / d)",
+    "improvement": "4e-9::double / (2e-9::double * pow(2.0::double, k) / splits + 1e-9::double / d)", "high": "4e-9::double / (2e-9::double * sqrt(k::double) * pow(2.0::double / 3, k) + 1e-9::double / d)"}.items())} from m"""
+
 
+def run_bounds(spark, d):
+    rows = cost.bound_table(spark, list(range(3, 18)), 0.1, 0.05, 1e6, 2e8)
+    return rows.select("k", "variant", rounded(F.col("iteration"), 7).alias("iteration"), rounded(F.col("whole"), 7).alias("whole"))
 
-def memory_sql() -> str:
-    rows = [f"('{g}', '{t}', {CATALOGUE[t].size}, {max(comb(CATALOGUE[t].size, s.size) for s in partition(CATALOGUE[t]))} * {n}::double * 4)" for g, n in (("million", 1000000), ("three", 3000000)) for t in ("t10", "t12", "t13", "t14", "t15a", "t16", "t17")]
-    return f"select * from (values {', '.join(rows)}) t(graph, template, k, widest)"
+
+RUN_BOUNDS_SQL = """with b as (select k::int as k, variant, case variant when 'v0' then 2e8::double * pow(3.0::double, k) / sqrt(k::double) else 2e8::double * pow(2.0::double, k) + 1e6::double * pow(3.0::double, k) / sqrt(k::double) end as one from range(3, 18) r(k), (values ('v0'), ('v5')) v(variant))
+select k, variant, printf('%.6e', one) as iteration, printf('%.6e', one * exp(k::double) * ln(20.0::double) / 0.01::double) as whole from b"""
 
 
 def plans(spark, d):
-    """The partition of all templates of the catalogue."""
+    """The different shapes of the partition of all templates of the catalogue."""
     out = None
     for n, t in CATALOGUE.items():
-        part = plan_frame(spark, partition(t)).select(F.lit(n).alias("template"), "*")
+        part = plan_frame(spark, partition(t)).where("active is not null").select(F.lit(n).alias("template"), "sub", "size", "active", "passive")
         out = part if out is None else out.union(part)
     return out
 
 
+PLANS_SQL = f"with recursive {sql.parts(tuple(SHAPES))} select template, sub, s as size, active, passive from part"
+
+
 def symmetries(spark, d):
     return spark.createDataFrame([(n, t.size, automorphisms(t)) for n, t in CATALOGUE.items()], "template string, k int, automorphisms long")
 
 
-def symmetries_sql() -> str:
-    """Brute force over all permutations for templates of at most six nodes isn't SQL's strength; the known values are stated."""
-    known = {"path2": 2, "path3": 2, "path4": 2, "star4": 6, "path5": 2, "path5mid": 2, "fork5": 2, "star5": 24, "spider6": 2, "bin7": 8, "t10": 2, "t12": 4, "t13": 1296, "t14": 2, "t15a": 128, "t15b": 2, "t16": 48, "t17": 31104}
-    return "select * from (values " + ", ".join(f"('{n}', {CATALOGUE[n].size}, {v}::bigint)" for n, v in known.items()) + ") t(template, k, automorphisms)"
+def variants_agree(spark, d):
+    """Rooted counts of path5 by each program against the baseline's, cell by cell: cells, those that differ, their sum."""
+    g = graphs.settle(build(spark, d, "user_next"), "table")
+    base, out = counts(g, CATALOGUE["path5"], "v0"), None
+    for v in VARIANTS:
+        other = counts(g, CATALOGUE["path5"], v)
+        error = metrics.relative_error(other, base, ["it", "v"], "cnt").agg(F.count("*").alias("cells"), F.count_if(F.col("rel_error") > 0).alias("differ"))
+        part = other.agg(F.sum("cnt").alias("total")).crossJoin(error).select(F.lit(v).alias("variant"), "cells", "differ", "total")
+        out = part if out is None else out.union(part)
+    return out
 
 
-def variants_agree(spark, d):
-    """Rooted counts of the baseline and of the batched kernels, cell by cell: the cells that differ (none)."""
-    g = build(spark, d, "user_next")
-    a, b = counts(g, CATALOGUE["star4"], "v0"), counts(g, CATALOGUE["star4"], "v5")
-    return metrics.relative_error(b, a, ["it", "v"], "cnt").where("rel_error > 0").select("v", "rel_error")
+def estimate_errors(spark, d):
+    """How far eight estimates of each template lie from its exact count, to six digits."""
+    g, out = graphs.settle(build(spark, d, "user_next"), "table"), None
+    for t in ("path3", "path4", "star4"):
+        true = float(exact.closed_form(g, t).first()[0])
+        part = metrics.estimate_error(estimator.series(g, CATALOGUE[t], 8, "v3"), true).select(F.lit(t).alias("template"), "it", rounded(F.col("rel_error"), 6).alias("rel_error"))
+        out = part if out is None else out.union(part)
+    return out
+
+
+def failures(spark, d):
+    """The share of 16 estimates of path4 that miss the exact count by more than eps."""
+    g = graphs.settle(build(spark, d, "user_next"), "table")
+    true = float(exact.closed_form(g, "path4").first()[0])
+    s, out = estimator.series(g, CATALOGUE["path4"], 16, "v3"), None
+    for eps in (0.001, 0.005, 0.01, 0.05):
+        part = metrics.failure_rate(s, true, eps).select(F.lit(eps).alias("eps"), "runs", "failure_rate")
+        out = part if out is None else out.union(part)
+    return out
+
+
+def errors_sql(template: str, n: int) -> str:
+    """One row for each estimate: it, rel_error."""
+    return f"select it, abs(estimate - x) / x as rel_error from ({sql.estimates('user_next', template, n)} select * from est), (select cnt::hugeint::double as x from ({sql.closed_form('user_next', template)}))"
+
+
+def stopped(spark, d):
+    """Estimates of path4, four at a time, until the relative standard error is below half a percent."""
+    g = graphs.settle(build(spark, d, "user_next"), "table")
+    mean, _, n = estimator.estimate(g, CATALOGUE["path4"], 0.005, 32, 4, "v3")
+    return spark.createDataFrame([(n, mean)], "iterations int, mean double").select("iterations", rounded(F.col("mean")).alias("mean"))
+
+
+STOPPED_SQL = sql.estimates("user_next", "path4", 32) + """,
+w as (select it + 1 as n, avg(estimate) over o as mean, stddev_samp(estimate) over o / sqrt(it + 1) as err from est window o as (order by it))
+select n::int as iterations, printf('%.8e', mean) as mean from w where n % 4 = 0 and (err <= 0.005 * mean or n = 32) order by n limit 1"""
+
+RUN = ("graph", "template", "variant", "vertices", "edges", "total", "edge_ops", "vertex_ops")
+NO_BASE = (("t10", "v0"), ("t12", "v0"))
+GROWING = ("path3", "path5", "bin7", "t10", "t12")
+DEGREES = ("geo", "custpart", "supppart", "copart")
+PRUNED = ("geo", "supppart", "user_next", "copart")
+LEAST = "(select min(n) from (" + " union all ".join(f"select count(*) as n from (with {sql.graph(n)} select * from one)" for n in ("skew3", "skew5", "skew8")) + "))"
+
+
+def stripped(make):
+    """An experiment without its seconds, which no other engine can repeat."""
+    return lambda spark, d: make(spark, d).select(*RUN)
+
+
+def speedups(spark, d):
+    """How many times fewer edge touches and operations each program has than the baseline, from runs of it."""
+    runs = workloads.run_matrix(spark, d, ("user_next",), ("path4", "path5", "spider6"), ("v0", "v3", "v5"))
+    touches = metrics.speedup(runs.withColumn("seconds", F.col("edge_ops"))).withColumnRenamed("speedup", "fewer_touches")
+    return touches.select("graph", "template", "variant", rounded(F.col("fewer_touches")).alias("fewer_touches"))
+
+
+SPEEDUP_SQL = f"""with r as ({sql.experiment({'user_next': sql.graph('user_next')}, ('path4', 'path5', 'spider6'), ('v0', 'v3', 'v5'))})
+select a.graph, a.template, a.variant, printf('%.8e', b.edge_ops / a.edge_ops) as fewer_touches from r a join r b on a.graph = b.graph and a.template = b.template and b.variant = 'v0'"""
+
+
+def totals_of(spark, d, kind: str):
+    """Edge touches of runs of three templates: rolled up, or with the programs side by side."""
+    runs = workloads.run_matrix(spark, d, ("user_next", "geo"), ("path4", "star4"), ("v0", "v3", "v5")).withColumn("seconds", F.col("edge_ops"))
+    if kind == "rollup":
+        return workloads.rollup(runs).withColumnRenamed("seconds", "edge_ops")
+    if kind == "cube":
+        return runs.cube("graph", "variant").agg(F.sum("edge_ops").alias("edge_ops"), F.grouping_id().cast("int").alias("level"))
+    return metrics.pivoted(runs, ["v0", "v3", "v5"])
+
+
+TOTALS_SQL = f"""with r as ({sql.experiment({n: sql.graph(n) for n in ('user_next', 'geo')}, ('path4', 'star4'), ('v0', 'v3', 'v5'))})"""
+
+
+def fitted_line(spark, d):
+    """A straight line through degrees and rooted counts of path3, and how well it fits: regression aggregates."""
+    g = graphs.settle(build(spark, d, "user_next"), "table")
+    deg = g.edges.groupBy(F.col("src").alias("v")).agg(F.count("*").cast("double").alias("x"))
+    both = counts(g, CATALOGUE["path3"], "v3").join(deg, "v").withColumn("y", F.col("cnt").cast("double"))
+    return both.agg(*[rounded(f("y", "x"), 6).alias(n) for n, f in (("slope", F.regr_slope), ("intercept", F.regr_intercept), ("r2", F.regr_r2), ("corr", F.corr))], F.count("*").alias("n"))
+
+
+def rounding(spark, d):
+    """Exact totals by template size, and whether float and double kernels stay within their rounding of them."""
+    rows = workloads.rounding(spark, d)
+    limit = F.when(F.col("cnt_type") == "float", 1e-5).otherwise(1e-12)
+    return rows.select("template", "k", "cnt_type", rounded(F.col("total").cast("double")).alias("total"), (F.col("rel_error") <= limit).alias("within"))
+
+
+ROUNDED = ("path5", "spider6", "bin7", "t10", "t12")
+ROUNDING_SQL = "\nunion all\n".join(f"select '{t}' as template, {len(SHAPES[t])} as k, cnt_type, total, true as within from ({sql.total('user_next', t, digits=False)}), (values ('float'), ('double')) c(cnt_type)" for t in ROUNDED)
+
+
+def kernels(spark, d):
+    return workloads.vectorisation(spark, d).select("template", "variant", "width", "impl", "total")
+
+
+KERNELS_SQL = f"select template, variant, width, impl, total from ({sql.total('user_next', 'path5')}), (select 'v3' as variant, 0 as width, '' as impl union all select 'v4', 1, 'arrow' union all select 'v5', w, i from (values (8), (16), (64), (128), (256)) a(w), (values ('arrow'), ('expr'), ('hof')) b(i))"
+
+
+def skewed_runs(spark, d):
+    return workloads.skew(spark, d).select(*RUN, "avg_degree", "max_degree")
+
+
+def skewed_sql() -> str:
+    names = ("skew3", "skew5", "skew8")
+    runs = sql.experiment({n: sql.sampled(n, LEAST) for n in names}, ("path4",), ("v0", "v3", "v5"))
+    degrees = " union all ".join(f"select '{n}' as graph, * from (with {sql.sampled(n, LEAST)} select round(avg(d), 4) as avg_degree, max(d) as max_degree from (select count(*) as d from edges group by src))" for n in names)
+    return f"select r.*, avg_degree, max_degree from ({runs}) r join ({degrees}) g on g.graph = r.graph"
+
+
+def predicted(spark, d):
+    """Constants fitted to runs on two networks, predicted beside measured seconds, and the speedup the models promise for the largest template."""
+    runs = workloads.run_matrix(spark, d, ("user_next", "copart"), ("path4", "path5", "spider6"), ("v0", "v5"), Options(cnt_type="double"))
+    c, rows = workloads.fitted(runs)
+    far = workloads.headline(spark, c)
+    return rows.select("graph", "template", "variant", "seconds", "predicted").crossJoin(far.select(F.col("speedup").alias("t17_speedup")))
 
 
 def spectrum(spark, d):
@@ -265,15 +430,6 @@ def events(spark, d):
     return table(spark, d, "events", "event_id", "ts", "user_id", "event_type")
 
 
-def timings(spark):
-    """Fixed timings, for the report queries."""
-    rows = [(g, t, v, s) for g, f in (("a", 1.0), ("b", 2.0)) for t, h in (("path5", 1.0), ("bin7", 3.0)) for v, s in (("v0", 8.0 * f * h * h), ("v3", 4.0 * f * h), ("v5", 2.0 * f * h))]
-    return spark.createDataFrame(rows, "graph string, template string, variant string, seconds double")
-
-
-TIMINGS_SQL = "timings as (select g as graph, t as template, v as variant, case v when 'v0' then 8 * f * h * h when 'v3' then 4 * f * h else 2 * f * h end::double as seconds from (values ('a', 1.0), ('b', 2.0)) a(g, f), (values ('path5', 1.0), ('bin7', 3.0)) b(t, h), (values ('v0'), ('v3'), ('v5')) c(v))"
-
-
 def edge_difference(spark, d):
     g = build(spark, d, "user_next")
     return graphs.edge_diff(build(spark, d, "hour"), g)
@@ -295,12 +451,6 @@ def reordered(spark, d):
     return graphs.reorder(build(spark, d, "user_next"), "degree")[1]
 
 
-def sized(spark, d):
-    """The skewed networks at equal numbers of edges: the number left, and the draw's own."""
-    g = graphs.sample_edges(build(spark, d, "skew3"), 1000)
-    return graphs.stats(g).select("edges")
-
-
 def queries() -> dict:
     out = {f"graph_{n}": edge_list(n) for n in GRAPHS}
     out |= {"graph_knn": edge_list("knn"), "graph_doc_shingles": edge_list("doc_shingles"), "graph_stats": graph_stats}
@@ -325,13 +475,19 @@ def queries() -> dict:
     out |= {"estimate_series": estimate_series, "running_mean": running, "estimate_path3": summary("mean"), "mom": summary("median_of_means"), "iterations_for": iterations}
     for n in ("path3", "star4", "star5", "path4", "triangles"):
         out[f"exact_{n}"] = exactly("copart", n)
-    out |= {"exact_path3_skew": exactly("skew8", "path3"), "exact_path4_geo": exactly("geo", "path4"), "exact_enum_fork5": fork5_enumerated, "exact_fork5": exactly("user_next", "fork5")}
-    out |= {"ops_by_variant": operations, "reuse_factor": reuse, "lemma_maxima": maxima, "improvement_bounds": bounds, "memory_table": memory}
+    out |= {"exact_path3_skew": exactly("skew8", "path3"), "exact_path4_geo": exactly("geo", "path4"), "exact_enum_fork5": enumerated("geo", "fork5"), "exact_enum_path4": enumerated("geo", "path4"), "exact_fork5": exactly("user_next", "fork5")}
+    out |= {"ops_by_variant": operations, "reuse_factor": reuse, "lemma_maxima": maxima, "improvement_bounds": bounds, "memory_table": memory, "cost_model": model, "run_bounds": run_bounds}
     out |= {"motif_spectrum": spectrum, "count_many": many, "top_rooted": lambda spark, d: workloads.top_rooted(build(spark, d, "user_next"), "path4")}
     out |= {"rank_rooted": lambda spark, d: windows.rank_rooted(counts(build(spark, d, "user_next"), CATALOGUE["path3"], "v3")).select("v", "cnt", "rank")}
-    out |= {"induced_subgraph": induced, "edge_diff": edge_difference, "common_edges": lambda spark, d: graphs.common_edges(build(spark, d, "hour"), build(spark, d, "user_next")), "isolated": isolated, "reorder_degree": reordered, "equal_edges": sized}
+    out |= {"induced_subgraph": induced, "edge_diff": edge_difference, "common_edges": lambda spark, d: graphs.common_edges(build(spark, d, "hour"), build(spark, d, "user_next")), "isolated": isolated, "reorder_degree": reordered}
     out |= {"window_edges": lambda spark, d: windows.window_edges(events(spark, d), "1 hour"), "near_pairs": lambda spark, d: windows.near_pairs(events(spark, d), 60), "session_users": lambda spark, d: windows.sessions(events(spark, d)).select("user_id", "session", "events"), "last_before": lambda spark, d: windows.last_before(events(spark, d), "purchase", "click")}
-    out |= {"rollup_bench": lambda spark, d: workloads.rollup(timings(spark)), "speedup_report": lambda spark, d: metrics.speedup(timings(spark)), "pivot_report": lambda spark, d: metrics.pivoted(timings(spark), ["v0", "v3", "v5"])}
+    out |= {f"colorful_{t}_{v}": large("user_next", t, v) for t in LARGE[:3] for v in ("v3", "v5")}
+    out |= {f"colorful_{t}_v5": large("user_next", t, "v5") for t in LARGE[3:]}
+    out |= {"rooted_counts_t10": rooted("user_next", "t10", "v5"), "estimate_errors": estimate_errors, "failure_rate": failures, "early_stop": stopped, "degree_fit": fitted_line}
+    out |= {"growing_templates": stripped(workloads.growing_templates), "size_scaling": stripped(workloads.size_scaling), "rising_skew": skewed_runs, "degree_effect": lambda spark, d: workloads.degree_effect(spark, d).select(*RUN, "avg_degree")}
+    out |= {"pruning_steps": stripped(lambda spark, d: workloads.pruning(spark, d, PRUNED)), "kernel_variants": kernels, "rounding_by_size": rounding, "speedup_report": speedups}
+    out |= {f"{n}_report": lambda spark, d, n=n: totals_of(spark, d, n) for n in ("rollup", "cube", "pivot")}
+    out |= {"kernel_split": workloads.kernel_split, "roofline": workloads.roofline_run, "model_fit": predicted}
     return out
 
 
@@ -340,7 +496,7 @@ def oracle_sql() -> dict[str, str]:
     out |= {"graph_stats": stats_sql()}
     out["degree_histogram"] = f"with {sql.graph('skew5')}, deg as (select src, count(*) as d from edges group by 1) select floor(log2(d))::int as bin, count(*) as vertices from deg group by 1"
     out |= {"coloring": f"with {sql.graph('user_next')}, {sql.coloring(5, 42, 2)} select * from colors", "color_catalog": CATALOG_SQL, "split_catalog": SPLIT_SQL, "rank_roundtrip": ROUND_TRIP_SQL}
-    out |= {"template_automorphisms": symmetries_sql()}
+    out |= {"template_automorphisms": sql.symmetries_sql(tuple(SHAPES)), "template_plans": PLANS_SQL}
     out |= {"neighbor_sum_unit": UNIT + "\nselect v, mask, cnt from s", "multiply_add_unit": UNIT + "\nselect x.v, x.mask | y.mask as mask, sum(x.cnt * y.cnt)::bigint as cnt from m0 x join s y on x.v = y.v and x.mask & y.mask = 0 group by 1, 2"}
     out |= {f"neighbor_sum_{n}": UNIT + "\nselect v, mask, cnt from s" for n in ("blocked", "broadcast", "grid", "hubs", "wide")}
     for t in SMALL:
@@ -355,29 +511,42 @@ def oracle_sql() -> dict[str, str]:
         out[f"colorful_path4_v5_{s}"] = sql.total("user_next", "path4")
     out["colorful_path5mid_unshared"] = sql.total("user_next", "path5mid")
     out["colorful_star4_decimal"] = sql.total("custpart", "star4")
-    out |= {"rooted_counts_path3": sql.rooted("user_next", "path3"), "rooted_counts_star4": sql.rooted("user_next", "star4"), "rooted_counts_copart": sql.rooted("copart", "path4"), "variants_agree": "select 0::bigint as v, 0.0::double as rel_error where false"}
+    out |= {"rooted_counts_path3": sql.rooted("user_next", "path3"), "rooted_counts_star4": sql.rooted("user_next", "star4"), "rooted_counts_copart": sql.rooted("copart", "path4"), "variants_agree": f"select variant, cells, differ, total from (select count(*) as cells, 0::bigint as differ, sum(cnt)::bigint as total from ({sql.rooted('user_next', 'path5')})), (values {', '.join(f"('{v}')" for v in VARIANTS)}) v(variant)"}
     est = sql.estimates("user_next", "path4", 4)
     out |= {"estimate_series": est + f"\nselect it, {SCI.format('estimate')} as estimate from est", "running_mean": est + f"\nselect it, {SCI.format('avg(estimate) over (order by it)')} as mean from est"}
     out |= {"estimate_path3": sql.estimates("user_next", "path3", 9) + f"\nselect 'path3' as template, 9 as iterations, {SCI.format('avg(estimate)')} as mean from est", "mom": MEDIAN, "iterations_for": ITERATIONS_SQL}
     for n in ("path3", "star4", "star5", "path4", "triangles"):
         out[f"exact_{n}"] = sql.closed_form("copart", n)
-    out |= {"exact_path3_skew": sql.closed_form("skew8", "path3"), "exact_path4_geo": sql.closed_form("geo", "path4"), "exact_enum_fork5": sql.fork5_brute("user_next", 15)}
-    out |= {"ops_by_variant": operations_sql(), "reuse_factor": REUSE_SQL, "lemma_maxima": MAXIMA_SQL, "improvement_bounds": BOUNDS_SQL, "memory_table": memory_sql()}
-    head, last = sql.whole("user_next", "path4")
+    out |= {"exact_path3_skew": sql.closed_form("skew8", "path3"), "exact_path4_geo": sql.closed_form("geo", "path4"), "exact_fork5": sql.closed_form("user_next", "fork5"), "exact_enum_fork5": sql.fork5_brute("geo"), "exact_enum_path4": f"select cnt::bigint as cnt from ({sql.closed_form('geo', 'path4')})"}
+    out |= {"ops_by_variant": OPERATIONS_SQL, "reuse_factor": REUSE_SQL, "lemma_maxima": MAXIMA_SQL, "improvement_bounds": BOUNDS_SQL, "memory_table": MEMORY_SQL, "cost_model": MODEL_SQL, "run_bounds": RUN_BOUNDS_SQL}
+    head, last = sql.whole("user_next", "path4", root=0)
     out |= {"motif_spectrum": spectrum_sql(), "count_many": f"select * from ({sql.total('user_next', 'path4')}) union all select * from ({sql.total('user_next', 'star4')})", "top_rooted": f"{head}\nselect v, cnt::bigint as cnt from {last} order by cnt desc, v limit 10"}
-    head, last = sql.whole("user_next", "path3")
+    head, last = sql.whole("user_next", "path3", root=0)
     out |= {"rank_rooted": f"{head}\nselect v, cnt::bigint as cnt, rank() over (order by cnt desc) as rank from {last}"}
     some = "picked as (select 2 * c_custkey as v from customer where c_mktsegment = 'BUILDING' union all select 2 * p_partkey + 1 from part where p_size between 1 and 10)"
     out |= {"induced_subgraph": f"with {sql.graph('custpart')}, {some} select src, dst from edges where src in (select v from picked) and dst in (select v from picked)"}
     two = f"with a as (with {sql.graph('hour')} select src, dst from edges), b as (with {sql.graph('user_next')} select src, dst from edges)"
     out |= {"edge_diff": f"{two} select * from a where src < dst except select * from b", "common_edges": f"{two} select * from a intersect select * from b"}
     out |= {"isolated": f"with {sql.graph('custpart')} select 2 * p_partkey + 1 as v from part where 2 * p_partkey + 1 not in (select v from verts)"}
-    out |= {"reorder_degree": f"with {sql.graph('user_next')}, deg as (select src as v, count(*) as d from edges group by 1) select v, row_number() over (order by d desc, v) - 1 as id from deg", "equal_edges": "select 1000::bigint as edges"}
+    out |= {"reorder_degree": f"with {sql.graph('user_next')}, deg as (select src as v, count(*) as d from edges group by 1) select v, row_number() over (order by d desc, v) - 1 as id from deg"}
     out |= {"window_edges": "with s as (select distinct date_trunc('hour', ts) as start, user_id from events) select x.start, x.user_id as src, y.user_id as dst from s x join s y on x.start = y.start and x.user_id < y.user_id"}
     out |= {"near_pairs": "select distinct least(x.user_id, y.user_id) as src, greatest(x.user_id, y.user_id) as dst from events x join events y on x.event_type = y.event_type and x.user_id <> y.user_id and y.ts between x.ts - interval 60 second and x.ts + interval 60 second"}
     out |= {"session_users": "with g as (select user_id, ts, event_id, case when ts - lag(ts) over w > interval 1800 second or lag(ts) over w is null then 1 else 0 end as n from events window w as (partition by user_id order by ts, event_id)), s as (select user_id, sum(n) over (partition by user_id order by ts, event_id)::bigint as session from g) select user_id, session, count(*) as events from s group by all"}
     out |= {"last_before": "with b as (select *, last_value(case when event_type = 'click' then event_id end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) as prior from events where event_type in ('purchase', 'click')) select event_id, user_id, prior from b where event_type = 'purchase'"}
-    out |= {"rollup_bench": f"with {TIMINGS_SQL} select graph, template, variant, sum(seconds) as seconds, count(*) as runs from timings group by rollup(graph, template, variant)", "speedup_report": f"with {TIMINGS_SQL} select a.graph, a.template, a.variant, b.seconds / a.seconds as speedup from timings a join timings b on a.graph = b.graph and a.template = b.template and b.variant = 'v0'", "pivot_report": f"with {TIMINGS_SQL} select graph, template, min(seconds) filter (variant = 'v0') as v0, min(seconds) filter (variant = 'v3') as v3, min(seconds) filter (variant = 'v5') as v5 from timings group by all"}
+    for t in LARGE:
+        for v in ("v3", "v5") if t in LARGE[:3] else ("v5",):
+            out[f"colorful_{t}_{v}"] = sql.total("user_next", t, digits=False)
+    out |= {"rooted_counts_t10": sql.rooted("user_next", "t10")}
+    out |= {"estimate_errors": "\nunion all\n".join(f"select '{t}' as template, it, printf('%.5e', rel_error) as rel_error from ({errors_sql(t, 8)})" for t in ("path3", "path4", "star4"))}
+    out |= {"failure_rate": f"select eps, count(*) as runs, avg((rel_error > eps)::int::double) as failure_rate from ({errors_sql('path4', 16)}), (values (0.001::double), (0.005), (0.01), (0.05)) e(eps) group by eps", "early_stop": STOPPED_SQL}
+    head, last = sql.whole("user_next", "path3", root=0)
+    out |= {"degree_fit": f"{head}, deg as (select src as v, count(*)::double as x from edges group by 1), xy as (select x, cnt::double as y from {last} join deg using (v)) select " + ", ".join(f"printf('%.5e', {f}(y, x)) as {n}" for n, f in (("slope", "regr_slope"), ("intercept", "regr_intercept"), ("r2", "regr_r2"), ("corr", "corr"))) + ", count(*) as n from xy"}
+    out |= {"growing_templates": sql.experiment({"user_next": sql.graph("user_next")}, GROWING, ("v0", "v3", "v5"), NO_BASE, digits=False), "size_scaling": sql.experiment({f"custpartx{n}": sql.copied("custpart", n) for n in (1, 2, 4)}, ("path4",), ("v0", "v3", "v5")), "rising_skew": skewed_sql()}
+    out |= {"degree_effect": f"select *, round(edges / vertices, 4) as avg_degree from ({sql.experiment({n: sql.graph(n) for n in DEGREES}, ('path4',), ('v0', 'v5'))})", "pruning_steps": sql.experiment({n: sql.graph(n) for n in PRUNED}, ("path4",), ("v0", "v1", "v2", "v3"))}
+    out |= {"kernel_variants": KERNELS_SQL, "rounding_by_size": ROUNDING_SQL, "speedup_report": SPEEDUP_SQL}
+    out |= {"rollup_report": f"{TOTALS_SQL} select graph, template, variant, sum(edge_ops) as edge_ops, count(*) as runs from r group by rollup(graph, template, variant)", "cube_report": f"{TOTALS_SQL} select graph, variant, sum(edge_ops) as edge_ops, grouping_id(graph, variant)::int as level from r group by cube(graph, variant)"}
+    out |= {"pivot_report": f"{TOTALS_SQL} select graph, template, " + ", ".join(f"min(edge_ops) filter (variant = '{v}') as {v}" for v in ("v0", "v3", "v5")) + " from r group by all"}
+    out |= {n: f"with {sql.graph(g)} select src, dst from edges where src < dst" for n, g in (("graph_knn", "knn"), ("graph_doc_shingles", "doc_shingles"))}
     return out
 
 

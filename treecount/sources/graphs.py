@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -86,10 +87,17 @@ def edge_diff(a: Graph, b: Graph) -> DataFrame:
 def sample_edges(g: Graph, edges: int, seed: int = 42) -> Graph:
     """The given number of undirected edges with the smallest hash; a feature for runs at equal size."""
     one = g.edges.where("src < dst")
-    keep = one.orderBy(F.xxhash64(F.lit(seed), "src", "dst"), "src", "dst").limit(edges)
+    keep = one.orderBy(F.md5(F.concat_ws(":", F.lit(str(seed)), "src", "dst")), "src", "dst").limit(edges)
     return normalize(keep.select(F.col("src").alias("a"), F.col("dst").alias("b")))
 
 
+def copies(g: Graph, n: int) -> Graph:
+    """The network n times over, without edges between the copies: n times the size at the same degrees."""
+    i = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    edges = g.edges.select("src", "dst", i.alias("i")).select((F.col("src") * n + F.col("i")).alias("src"), (F.col("dst") * n + F.col("i")).alias("dst"))
+    return Graph(edges, g.vertices.select("v", i.alias("i")).select((F.col("v") * n + F.col("i")).alias("v")), g.rows and g.rows * n)
+
+
 def reorder(g: Graph, method: str = "degree", policy: str = "table") -> tuple[Graph, DataFrame]:
     """New ids for locality, and the mapping (v, id). "degree": descending degree. "bfs_rcm": breadth-first levels from the
     vertex of least degree in each component, ascending degree inside a level, reversed. "none": as they are.
@@ -168,17 +176,25 @@ def custsupp(spark: SparkSession, d: str) -> Graph:
     return normalize(o.join(x, o.o_orderkey == x.l_orderkey).select((2 * F.col("o_custkey")).alias("a"), (2 * F.col("l_suppkey") + 1).alias("b")))
 
 
-def user_next(spark: SparkSession, d: str) -> Graph:
-    """Each event's user and the user of the next event of the same type."""
-    w = Window.partitionBy("event_type").orderBy("ts", "event_id")
-    e = table(spark, d, "events", "event_id", "ts", "user_id", "event_type")
-    return normalize(e.select(F.col("user_id").alias("a"), F.lead("user_id").over(w).alias("b")))
+def user_next(spark: SparkSession, d: str, bucket: str = "hour") -> Graph:
+    """Each event's user and the user of the next event of the same type.
+
+    Events are put in order within a type and a time bucket; the last one of a bucket goes on with the first of the next
+    bucket that has any, which a table of one row for each bucket says. So no task holds all events of a type.
+    """
+    e = table(spark, d, "events", "event_id", "ts", "user_id", "event_type").withColumn("h", F.date_trunc(bucket, "ts"))
+    w = Window.partitionBy("event_type", "h").orderBy("ts", "event_id")
+    near = e.select("event_type", "h", "user_id", F.lead("user_id").over(w).alias("next"), F.lead(F.lit(1)).over(w).isNull().alias("last"))
+    first = e.groupBy("event_type", "h").agg(F.min(F.struct("ts", "event_id", "user_id")).alias("first"))
+    after = first.select("event_type", "h", F.lead("first.user_id").over(Window.partitionBy("event_type").orderBy("h")).alias("carried"))
+    return normalize(near.join(after, ["event_type", "h"]).select(F.col("user_id").alias("a"), F.when(F.col("last"), F.col("carried")).otherwise(F.col("next")).alias("b")))
 
 
 def hour(spark: SparkSession, d: str) -> Graph:
-    """Users active with the same type in the same hour."""
-    e = table(spark, d, "events", "ts", "user_id", "event_type").select(F.date_trunc("hour", "ts").alias("h"), "event_type", "user_id").distinct()
-    return normalize(e.withColumnRenamed("user_id", "a").join(e.withColumnRenamed("user_id", "b"), ["h", "event_type"]).where("a < b").select("a", "b"))
+    """Users active with the same type in the same hour; the users of an hour meet in blocks."""
+    e = table(spark, d, "events", "ts", "user_id", "event_type").select(F.struct(F.date_trunc("hour", "ts").alias("h"), "event_type").alias("key"), F.col("user_id").alias("id")).distinct()
+    rows = e.join(e.groupBy("key").agg(F.count("*").alias("n")), "key").select("key", "n", "id", F.lit(0).alias("tag"))
+    return normalize(meet(rows).select("a", "b"))
 
 
 def geo(spark: SparkSession, d: str) -> Graph:
@@ -205,44 +221,63 @@ def pages(spark: SparkSession, d: str) -> Graph:
     return normalize(table(spark, d, "pages", "page_id", "html").select("page_id", links.alias("h")).select((2 * F.col("page_id")).alias("a"), (2 * text_id("h") + 1).alias("b")))
 
 
-def skewed(spark: SparkSession, d: str, skew: int, levels: int | None = None) -> Graph:
+def levels_for(rows: int) -> int:
+    """Levels of the id space for so many draws: about 30 draws an id, at any size."""
+    return max(1, math.floor(math.log2(max(rows, 1) / 30) + 0.5))
+
+
+def skewed(spark: SparkSession, d: str, skew: int, levels: int) -> Graph:
     """One draw per line item on 2^levels ids; each level's hash byte picks a quadrant, the first with weight skew / (skew + 3)."""
     x = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")
-    if levels is None:
-        n = x.count()
-        levels = 8 if n < 20_000 else 11 if n < 200_000 else 14
     a = 256 * skew // (skew + 3)
     w = (256 - a) // 3
-    h = F.md5(F.concat_ws(":", F.lit("42"), "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"))
+    digest = [F.md5(F.concat_ws(":", F.lit(str(42 + i)), "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")) for i in range(-(-levels // 16))]
     src = dst = F.lit(0).cast("long")
     for i in range(levels):
         q = F.conv(F.substring("h", 2 * i + 1, 2), 16, 10).cast("int")
         src = src + F.when(q >= a + w, 1 << i).otherwise(0)
         dst = dst + F.when(((q >= a) & (q < a + w)) | (q >= a + 2 * w), 1 << i).otherwise(0)
-    return normalize(x.select(h.alias("h")).select(src.alias("a"), dst.alias("b")))
+    return normalize(x.select(F.concat(*digest).alias("h")).select(src.alias("a"), dst.alias("b")))
+
 
+def knn(spark: SparkSession, d: str, near: int = 10, block: int = 2048) -> Graph:
+    """Each vector and its nearest ones by cosine to nine digits, ties by id, among vectors of the same dimension.
 
-def knn(spark: SparkSession, d: str, near: int = 10) -> Graph:
-    """Each vector and its nearest ones by cosine, ties by id. Vectors are compared in blocks against all, and each block keeps its best."""
+    Vectors are compared in pairs of blocks of about ``block`` rows, and each block keeps its best. Null, zero and
+    non-finite vectors have no neighbours.
+    """
     import numpy as np
     import pandas as pd
 
-    e = table(spark, d, "embeddings", "vec_id", "embedding")
-    block = F.pmod(F.xxhash64("vec_id"), F.lit(8)).cast("int")
-    left = e.select(block.alias("x"), F.explode(F.sequence(F.lit(0), F.lit(7))).alias("y"), "vec_id", "embedding")
-    right = e.select(F.explode(F.sequence(F.lit(0), F.lit(7))).alias("x"), block.alias("y"), "vec_id", "embedding")
-
-    def best(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        p, q = (np.array(f["embedding"].tolist(), float).reshape(len(f), -1) for f in (a, b))
-        ids, other = a["vec_id"].to_numpy(), b["vec_id"].to_numpy()
-        if not len(ids) or not len(other):
+    e = table(spark, d, "embeddings", "vec_id", "embedding").select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"))
+    fine = F.forall("embedding", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("embedding", lambda x: x != 0)
+    e = e.where(F.col("vec_id").isNotNull() & F.coalesce(fine, F.lit(False))).withColumn("dim", F.size("embedding"))
+    e = e.join(e.groupBy("dim").agg((F.ceil(F.count("*") / block) - 1).cast("int").alias("last")), "dim")
+    own, other = F.pmod(F.xxhash64("vec_id"), F.col("last") + 1).cast("int"), F.explode(F.sequence(F.lit(0), "last"))
+    sides = [e.select("dim", *xy, F.lit(k).alias("side"), "vec_id", "embedding") for k, xy in enumerate(((own.alias("x"), other.alias("y")), (other.alias("x"), own.alias("y"))))]
+
+    def unit(f: pd.DataFrame) -> np.ndarray:
+        v = np.array(f["embedding"].tolist(), float)
+        v = np.ldexp(v, -np.frexp(np.abs(v).max(1))[1][:, None])
+        return v / np.linalg.norm(v, axis=1, keepdims=True)
+
+    def best(part: pd.DataFrame) -> pd.DataFrame:
+        a, b = part[part["side"] == 0], part[part["side"] == 1]
+        if not len(a) or not len(b):
             return pd.DataFrame({"a": [], "b": [], "c": []})
-        cos = (p / np.linalg.norm(p, axis=1, keepdims=True)) @ (q / np.linalg.norm(q, axis=1, keepdims=True)).T
+        b = b.sort_values("vec_id", kind="stable")
+        ids, other = a["vec_id"].to_numpy(), b["vec_id"].to_numpy()
+        cos = np.round(unit(a) @ unit(b).T, 9)
         cos[ids[:, None] == other[None, :]] = -2
-        top = np.lexsort((np.broadcast_to(other, cos.shape), -cos))[:, :near]
-        return pd.DataFrame({"a": np.repeat(ids, top.shape[1]), "b": other[top].ravel(), "c": np.take_along_axis(cos, top, 1).ravel()})
-
-    part = left.groupBy("x", "y").cogroup(right.groupBy("x", "y")).applyInPandas(best, "a long, b long, c double").where("c > -2")
+        n = min(near, len(other))
+        # Of those that tie with the last place the smallest ids stay: what lies above it, then ties in order.
+        cut = -np.partition(-cos, n - 1, axis=1)[:, n - 1 : n]
+        tie = cos == cut
+        keep = (cos > cut) | (tie & (np.cumsum(tie, axis=1) <= n - (cos > cut).sum(1, keepdims=True)))
+        i, j = np.nonzero(keep & (cos > -2))
+        return pd.DataFrame({"a": ids[i], "b": other[j], "c": cos[i, j]})
+
+    part = sides[0].union(sides[1]).groupBy("dim", "x", "y").applyInPandas(best, "a long, b long, c double")
     place = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("c"), "b"))
     return normalize(part.withColumn("place", place).where(F.col("place") <= near).select("a", "b"))
 
@@ -303,9 +338,14 @@ def doc_shingles(spark: SparkSession, d: str, words: int = 5, shared: int = 3, p
     return Graph(edges, edges.select(F.col("src").alias("v")).distinct())
 
 
+def skewed_by_size(skew: int):
+    """The skewed network on as many ids as the table's draws are worth."""
+    return lambda spark, d: skewed(spark, d, skew, levels_for(table(spark, d, "lineitem", "l_orderkey").count()))
+
+
 BUILDERS = {
     "copart": copart, "custpart": custpart, "supppart": supppart, "custsupp": custsupp, "user_next": user_next, "hour": hour, "geo": geo, "conv": conv, "pages": pages, "knn": knn, "doc_shingles": doc_shingles,
-    "skew3": lambda spark, d: skewed(spark, d, 3), "skew5": lambda spark, d: skewed(spark, d, 5), "skew8": lambda spark, d: skewed(spark, d, 8),
+    "skew3": skewed_by_size(3), "skew5": skewed_by_size(5), "skew8": skewed_by_size(8),
 }
 
 

@@ -7,14 +7,17 @@ import uuid
 
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 POLICIES = ("plan", "persist", "table")
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; a temporary folder only where that is unset (tests)."""
+    """``spark.checkpoint.dir`` of the session. Only a local master may go without, in a temporary folder (tests)."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="treecount-shared-")
         spark.conf.set("spark.checkpoint.dir", base)
     return base.rstrip("/") + "/treecount"
@@ -32,3 +35,9 @@ def settle(df: DataFrame, policy: str = "plan", name: str = "table") -> DataFram
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def sent(df: DataFrame, row_bytes: int, most_bytes: int = 64 << 20) -> DataFrame:
+    """``df`` with a broadcast hint if it is counted and found to stay below the bound; as it is otherwise, so that joins shuffle it."""
+    most = most_bytes // row_bytes
+    return F.broadcast(df) if df.limit(most + 1).count() <= most else df
