@@ -185,14 +185,16 @@ def test_rule_sweep_against_plain_matching():
     part = lambda: r.choice(["a", "b", "ab", "x-y", ""])
     rules = [(r.choice(["allow", "block"]), ".".join(r.choice("ab") for _ in range(r.randint(1, 3))) + "/" + r.choice(["", "p/", "p/q", "q"])) for _ in range(25)]
     urls = sorted((".".join(reversed(h.split("."))) + "." if h else "", p, h) for h, p in ((".".join(part() for _ in range(r.randint(1, 5))), r.choice(["", "/", "/p/", "/p/q1", "/q"])) for _ in range(800)))
+    keys = sorted((".".join(reversed(x.split("/")[0].split("."))) + ".", x[x.index("/") :], x, v) for v, x in rules)
     for start in (0, 333, 700):
-        s = urlrules.Sweep(rules)
+        s = urlrules.Sweep()
+        waiting = list(keys)
         for key, path, host in urls[start:]:
-            s.move(key)
+            while waiting and waiting[0][0] <= key:
+                s.rule(*waiting.pop(0))
             fits = [(len(x), len(x.split("/")[0]), v == "block", x, v) for v, x in rules if (host == x.split("/")[0] or host.endswith("." + x.split("/")[0])) and path.startswith(x[x.index("/") :])]
             best = max(fits, default=None)
-            rule, verdict = s.judge(path)
-            assert (rule, verdict) == ((best[3], best[4]) if best else (None, None)), (host, path)
+            assert s.judge(key, path) == ((best[3], best[4]) if best else (None, None)), (host, path)
 
 
 def test_tiles_lose_no_link():

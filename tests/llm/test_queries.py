@@ -1,6 +1,7 @@
 """Every operator on odd rows, on empty tables and against brute force."""
 
 import hashlib
+import random
 import zlib
 from collections import defaultdict
 
@@ -57,14 +58,30 @@ def test_url_rules(spark):
     plain = pages.select("page_id", "url").distinct()
     against_sql(urlrules.op3(spark, plain), urlrules.oracle(), pages=plain)
     assert urlrules.op3(spark, pages).count() == len(urls) + 1 and urlrules.op3(spark, pages.limit(0)).count() == 0
-    frame = spark.createDataFrame(urlrules.RULES, "verdict string, rule string")
-    want = rows(urlrules.op3(spark, plain))
-    assert rows(urlrules.judge_urls(plain, frame)) == want
-    urlrules.MOST_SENT, keep = 1, urlrules.MOST_SENT
+    frame = spark.createDataFrame([*urlrules.RULES, ("block", None), (None, None), ("block", "/es/")], "verdict string, rule string")
+    assert rows(urlrules.judge_urls(plain, frame)) == rows(urlrules.op3(spark, plain))
+
+
+def test_rules_open_across_ranges(spark):
+    """Many rules and one host with most urls, in more ranges than hosts, against plain matching."""
+    r = random.Random(1)
+    rules = [(r.choice(["allow", "block"]), f"{r.choice(['', 'x.', 'y.x.', 'A.', 'İ.'])}{r.choice(['com', 'org'])}/{r.choice(['', 'a', 'ab', 'ab/c', 'b/' + str(i)])}") for i in range(60)]
+    urls = [(i, f"http://{r.choice(['x.com', 'x.com', 'x.com', 'y.x.com', 'com', 'a.org', 'z.org', 'İ.com', 'i̇.com'])}/{r.choice(['a', 'ab', 'ab/c', 'b/' + str(r.randrange(60)), ''])}{r.choice(['', '1', '?q'])}") for i in range(400)]
+    fold = lambda t: "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t)
+    want = {}
+    for i, u in urls:
+        host, _, path = u[7:].split("?")[0].partition("/")
+        fits = [(len(x), len(x.split("/")[0]), v == "block", v) for v, x in rules if (h := fold(x.split("/")[0])) and (host == h or host.endswith("." + h)) and ("/" + path).startswith(x[x.index("/") :])]
+        best = max(fits, default=None)
+        want[i] = (best[0], best[3]) if best else (None, "allow")
+    frame = spark.createDataFrame(rules, "verdict string, rule string")
+    keep = spark.conf.get("spark.sql.adaptive.coalescePartitions.enabled")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
     try:
-        assert rows(urlrules.judge_urls(plain, frame)) == want
+        got = urlrules.judge_urls(spark.createDataFrame(urls, "page_id long, url string"), frame).collect()
     finally:
-        urlrules.MOST_SENT = keep
+        spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", keep)
+    assert len(got) == 400 and {r.page_id: (r.rule and len(r.rule), r.verdict) for r in got} == want
 
 
 def test_exact_dedup(spark, odd, none, real):

@@ -2,20 +2,18 @@
 
 from __future__ import annotations
 
-from bisect import bisect_left, bisect_right
+from bisect import bisect_right
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import lower_az, ready
+from .common import LOWER, UPPER, commit, lower_az, ready
 
 #: verdict and rule; a rule is a host, then a path from its first slash.
 RULES = [("allow", "org/"), ("block", "example.org/es/"), ("block", "example.org/en/1"), ("allow", "com/fr/"), ("block", "com/de/")]
 #: The verdict where no rule fits.
 OTHERWISE = "allow"
-#: Rules beyond this many are joined as a table and not sent to each task.
-MOST_SENT = 200_000
 
 
 def parts(url: Column) -> tuple[Column, Column]:
@@ -33,105 +31,115 @@ def host_key(host: Column) -> Column:
 
 
 def split_rule(rule: str) -> tuple[str, str]:
+    """Host, A-Z lower-cased, and path."""
     host, slash, path = rule.partition("/")
-    return host.lower(), slash + path
+    return host.translate(str.maketrans(UPPER, LOWER)), slash + path
+
+
+class Frame:
+    """The rules of one host. Their paths are intervals too: each knows the longest other path that it begins with."""
+
+    def __init__(self, key: str):
+        self.key, self.rules = key, {}
+        self.paths: list[str] | None = None
+
+    def add(self, path: str, rule: str, verdict: str) -> None:
+        """Of rules for the same host and path a block wins, then the first."""
+        own = self.rules.get(path)
+        if own is None or own[1] != "block" and verdict == "block":
+            self.rules[path] = (rule, verdict)
+            self.paths = None
+
+    def fit(self, path: str) -> tuple[str, str] | None:
+        """The rule whose path is the longest that ``path`` starts with."""
+        if self.paths is None:
+            self.paths, self.outer, open_ = sorted(self.rules), [], []
+            for k, p in enumerate(self.paths):
+                while open_ and not p.startswith(self.paths[open_[-1]]):
+                    open_.pop()
+                self.outer.append(open_[-1] if open_ else -1)
+                open_.append(k)
+        at = bisect_right(self.paths, path) - 1
+        while at >= 0 and not path.startswith(self.paths[at]):
+            at = self.outer[at]
+        return self.rules[self.paths[at]] if at >= 0 else None
 
 
 class Sweep:
-    """Meets host keys in ascending order; the stack holds the rule hosts whose interval the current key is in."""
-
-    def __init__(self, rules: list[tuple[str, str]]):
-        frames: dict[str, dict[str, tuple[str, str]]] = {}
-        for verdict, rule in rules:
-            host, path = split_rule(rule)
-            if host:
-                own = frames.setdefault(".".join(reversed(host.split("."))) + ".", {})
-                if own.get(path, ("allow",))[0] != "block":  # of equal rules a block wins
-                    own[path] = (verdict, rule)
-        self.keys = sorted(frames)
-        self.frames = [sorted(((p, r, v) for p, (v, r) in frames[k].items()), key=lambda x: -len(x[0])) for k in self.keys]
-        self.stack: list[int] = []
-        self.next = -1
-        self.key = None
+    """Meets rules and urls in ascending order of host keys, a host's rules first; the stack holds the hosts whose interval the
+    current key is in."""
+
+    def __init__(self):
+        self.stack: list[Frame] = []
 
     def move(self, key: str) -> None:
-        if key == self.key:
-            return
-        keys, stack = self.keys, self.stack
-        if self.next < 0:  # the first key of a partition: look up what is in force there
-            at = key.find(".")
-            while at >= 0:
-                k = bisect_left(keys, key[: at + 1])
-                if k < len(keys) and keys[k] == key[: at + 1]:
-                    stack.append(k)
-                at = key.find(".", at + 1)
-            self.next = bisect_right(keys, key)
-        else:
-            while stack and not key.startswith(keys[stack[-1]]):
-                stack.pop()
-            while self.next < len(keys) and keys[self.next] <= key:
-                if key.startswith(keys[self.next]):
-                    stack.append(self.next)
-                self.next += 1
-        self.key = key
-
-    def judge(self, path: str) -> tuple[str | None, str | None]:
+        while self.stack and not key.startswith(self.stack[-1].key):
+            self.stack.pop()
+
+    def rule(self, key: str, path: str, rule: str, verdict: str) -> None:
+        self.move(key)
+        if not self.stack or self.stack[-1].key != key:
+            self.stack.append(Frame(key))
+        self.stack[-1].add(path, rule, verdict)
+
+    def judge(self, key: str, path: str) -> tuple[str | None, str | None]:
         """The longest rule (host and path) that fits; of equally long ones that of the longer host."""
-        best, rule, verdict = -1, None, None
-        for k in reversed(self.stack):
-            for p, r, v in self.frames[k]:
-                if path.startswith(p):
-                    if len(r) > best:
-                        best, rule, verdict = len(r), r, v
-                    break
-        return rule, verdict
+        self.move(key)
+        best = (None, None)
+        for frame in reversed(self.stack):
+            found = frame.fit(path)
+            if found and (best[0] is None or len(found[0]) > len(best[0])):
+                best = found
+        return best
 
 
 OUT = "page_id long, host string, path string, rule string, verdict string"
 
 
 def judge_urls(pages: DataFrame, rules: list[tuple[str, str]] | DataFrame = RULES, otherwise: str = OTHERWISE) -> DataFrame:
-    """page_id, host, path, rule and verdict of each row. Repeated rows are judged each; a null url has empty parts and no rule.
+    """page_id, host, path, rule and verdict of each row. Repeated rows are judged each; a null url has empty parts and no
+    rule; an empty table gives no rows; other columns are not looked at.
 
-    rules may be a DataFrame of (verdict, rule); it is brought to the driver only if it has at most
-    MOST_SENT rows, and joined by host otherwise.
+    rules: (verdict, rule) pairs, or a DataFrame of those columns of any size; null rules, and rules without a host, fit nothing.
+    Rules and urls are dealt to ranges together, by host key and then path, so a host with a large share of all urls is cut
+    too. A range begins with the rules still open there: those of the hosts that its first key lies under.
     """
+    spark = pages.sparkSession
     host, path = parts(F.col("url"))
-    urls = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url")).select("page_id", host.alias("host"), path.alias("path")).withColumn("key", host_key(F.col("host")))
-    if isinstance(rules, DataFrame):
-        some = rules.select("verdict", "rule").limit(MOST_SENT + 1).collect()
-        if len(some) > MOST_SENT:
-            return by_join(urls, rules, otherwise)
-        rules = [(r.verdict, r.rule) for r in some]
+    urls = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url")).select("page_id", host.alias("host"), path.alias("path"))
+    given = rules if isinstance(rules, DataFrame) else spark.createDataFrame(rules, "verdict string, rule string")
+    given = given.where("rule is not null").select("verdict", "rule", lower_az(F.substring_index("rule", "/", 1)).alias("host")).where("host <> ''")
+    both = urls.select(host_key(F.col("host")).alias("key"), F.lit(1).alias("kind"), "path", "page_id", "host", F.lit(None).cast("string").alias("rule"), F.lit(None).cast("string").alias("verdict"))
+    both = both.union(given.select(host_key(F.col("host")), F.lit(0), F.expr("substring(rule, length(host) + 1)"), F.lit(None).cast("long"), "host", "rule", "verdict"))
+    placed = commit(both.repartitionByRange("key", "kind", "path", "page_id").withColumn("part", F.spark_partition_id()), "urls")
+    firsts = placed.groupBy("part").agg(F.min("key").alias("first"))
+    labels = F.split("first", "\\.", -1)
+    above = F.when(F.col("first") != "", F.transform(F.sequence(F.lit(1), F.greatest(F.size(labels) - 1, F.lit(1))), lambda i: F.concat(F.array_join(F.slice(labels, 1, i), "."), F.lit("."))))
+    opened = firsts.select(F.col("part").alias("into"), F.explode(above).alias("key")).join(placed.where("kind = 0"), "key").select("key", F.lit(-1).alias("kind"), "path", "page_id", "host", "rule", "verdict", F.col("into").alias("part"))
+    ranges = (firsts.agg(F.max("part")).first()[0] or 0) + 1
 
     def sweep(batches):
-        s = Sweep(rules)
+        part, s = None, Sweep()
         for batch in batches:
-            found, verdicts = [], []
-            for key, p in zip(batch.column(3).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                s.move(key)
-                rule, verdict = s.judge(p)
+            keep, found, verdicts = [], [], []
+            for row, (key, kind, p, rule, verdict, at) in enumerate(zip(*(batch.column(c).to_pylist() for c in (0, 1, 2, 5, 6, 7)), strict=True)):
+                if at != part:
+                    part, s = at, Sweep()
+                if kind < 1:
+                    s.rule(key, p, rule, verdict)
+                    continue
+                rule, verdict = s.judge(key, p)
+                keep.append(row)
                 found.append(rule)
                 verdicts.append(verdict or otherwise)
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(found, pa.string()), pa.array(verdicts, pa.string())], names=["page_id", "host", "path", "rule", "verdict"])
-
-    # Path and id in the key let a host with a large share of all rows be cut between tasks.
-    return urls.repartitionByRange("key", "path", "page_id").sortWithinPartitions("key", "path").mapInArrow(sweep, OUT)
-
+            some = batch.take(pa.array(keep, pa.int64()))
+            yield pa.RecordBatch.from_arrays([some.column(3), some.column(4), some.column(2), pa.array(found, pa.string()), pa.array(verdicts, pa.string())], names=["page_id", "host", "path", "rule", "verdict"])
 
-def by_join(urls: DataFrame, rules: DataFrame, otherwise: str) -> DataFrame:
-    """As :func:`judge_urls` for rule sets of any size: each distinct host meets the rules of all its parent hosts."""
-    r = rules.select("verdict", "rule", lower_az(F.substring_index("rule", "/", 1)).alias("rule_host"))
-    r = r.withColumn("rule_path", F.expr("substring(rule, length(rule_host) + 1)")).where("rule_host <> ''")
-    pairs = urls.select("host", "path").distinct().withColumn("labels", F.split("host", "\\.", -1))
-    pairs = pairs.select("host", "path", F.explode(F.transform(F.sequence(F.lit(1), F.size("labels")), lambda i: F.array_join(F.slice("labels", i, F.size("labels")), "."))).alias("rule_host"))
-    fits = pairs.join(r, "rule_host").where(F.expr("startswith(path, rule_path)"))
-    rank = F.struct(F.length("rule").alias("a"), F.length("rule_host").alias("b"), (F.col("verdict") == "block").alias("c"))
-    best = fits.groupBy("host", "path").agg(F.max_by(F.struct("rule", "verdict"), rank).alias("best"))
-    return urls.join(best, ["host", "path"], "left").select("page_id", "host", "path", F.col("best.rule").alias("rule"), F.coalesce("best.verdict", F.lit(otherwise)).alias("verdict"))
+    return placed.union(opened).repartitionById(ranges, F.col("part")).sortWithinPartitions("part", F.col("kind") >= 0, "key", "kind", "path", "rule").mapInArrow(sweep, OUT)
 
 
 def op3(spark: SparkSession, pages: DataFrame) -> DataFrame:
+    """Every url of ``pages`` (page_id, url) by the fixed rules; see :func:`judge_urls`."""
     ready(spark)
     return judge_urls(pages)
 
