@@ -48,7 +48,7 @@ TREE = bpe.TreeEncoder(BYTES, leaf=16, window=2)
 @pytest.mark.parametrize("alphabet", ["ab", "theandingtion", "aàéü漢 ", "!?.-'", "=", " ", "0123456789", "ab<|endoftext|>"])
 def test_tree_concatenation_is_exact(alphabet):
     r = random.Random(alphabet)
-    for n in (1, 15, 17, 200, 1500, 4000):
+    for n in (1, 15, 17, 200, 1500, 4000):  # the longer ones in threads
         s = "".join(r.choice(alphabet) for _ in range(n))
         assert TREE.long(s) == TREE.tok.encode(s, add_special_tokens=False).ids
         assert array("I", TREE.long(s)).tobytes() == TREE.encode([s.encode()])[0]

@@ -1,8 +1,8 @@
 """Byte-level BPE encoding and decoding, long unsplit text by tree concatenation.
 
 Pre-tokens of ordinary length go through :class:`~.tokens.ChunkEncoder`. A longer one is halved
-down to leaves, the leaves are encoded as one batch (in parallel where the library may use
-threads), and neighbours are joined: a window of tokens around the seam is encoded again and
+down to leaves, the leaves are encoded in parallel by threads (the library works outside the interpreter's
+lock), and neighbours are joined, again in parallel: a window of tokens around the seam is encoded again and
 grows until its outermost tokens are those that both sides had there. A token sequence is the
 encoding of its text exactly if every neighbouring pair is, and all pairs outside the window
 were already neighbours, so agreement at both edges makes the joined sequence exact.
@@ -13,6 +13,7 @@ from __future__ import annotations
 import hashlib
 import re
 from array import array
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 import pyarrow as pa
@@ -25,11 +26,11 @@ from .tokens import BYTE_LETTERS, LONGEST_KEPT, ChunkEncoder, vocabulary
 
 
 class TreeEncoder(ChunkEncoder):
-    """leaf: most characters of the byte alphabet that are encoded in one go."""
+    """leaf: most characters of the byte alphabet that are encoded in one go; threads share the leaves and joins of a long piece."""
 
-    def __init__(self, path: str, leaf: int = 1024, window: int = 8, most: int = 300_000):
+    def __init__(self, path: str, leaf: int = 1024, window: int = 8, most: int = 300_000, threads: int = 4):
         super().__init__(path, "bytes", most)
-        self.leaf, self.window = leaf, window
+        self.leaf, self.window, self.threads = leaf, window, threads
         self.plain = Tokenizer(self.tok.model)  # no pre-tokenizer: its input is one unsplit piece
         added = self.tok.get_added_tokens_decoder()
         self.added = {t.content: k for k, t in added.items()}
@@ -63,11 +64,18 @@ class TreeEncoder(ChunkEncoder):
         cuts = [0, len(pre)]
         while max(b - a for a, b in zip(cuts, cuts[1:], strict=False)) > self.leaf:
             cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:], strict=False))})
-        level = [e.ids for e in self.plain.encode_batch_fast([pre[a:b] for a, b in zip(cuts, cuts[1:], strict=False)], add_special_tokens=False)]
+        level = self.each(lambda some: [e.ids for e in self.plain.encode_batch_fast(some, add_special_tokens=False)], [pre[a:b] for a, b in zip(cuts, cuts[1:], strict=False)])
         while len(level) > 1:
-            level = [self.join(*level[k : k + 2]) if k + 1 < len(level) else level[k] for k in range(0, len(level), 2)]
+            level = self.each(lambda some: [self.join(*p) if len(p) > 1 else p[0] for p in some], [level[k : k + 2] for k in range(0, len(level), 2)])
         return level[0]
 
+    def each(self, work, items: list, share: int = 16) -> list:
+        """What ``work`` makes of the items, a share of them at a time, in threads where there are several shares."""
+        if len(items) <= share:
+            return work(items)
+        with ThreadPoolExecutor(self.threads) as pool:
+            return [x for some in pool.map(work, [items[k : k + share] for k in range(0, len(items), share)]) for x in some]
+
     def join(self, left: list[int], right: list[int]) -> list[int]:
         w = self.window
         while True:
@@ -93,7 +101,7 @@ def tree_encoder(path: str) -> TreeEncoder:
 
 
 def encode_texts(docs: DataFrame, path: str) -> DataFrame:
-    """doc_id and the ids of each whole text; null text gives no ids."""
+    """doc_id and the ids of each whole text; null text gives no ids, repeated rows are encoded each."""
 
     def run(batches):
         enc = tree_encoder(path)
@@ -118,7 +126,11 @@ def decode_ids(encoded: DataFrame, path: str) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
-    """Encodes and decodes each whole text in one pass and gives digests of both."""
+    """Encodes and decodes each whole text in one pass and gives digests of both: doc_id, n_tokens, ids_sha256, decoded_sha256.
+
+    A null text counts as empty and has no ids; repeated rows give a row each; a text of any length is encoded whole; an empty
+    table gives no rows; other columns are not looked at.
+    """
 
     def run(batches):
         enc = tree_encoder(path)
@@ -138,5 +150,6 @@ def round_trip(docs: DataFrame, path: str) -> DataFrame:
 
 
 def op8(spark: SparkSession, docs: DataFrame, path: str | None = None) -> DataFrame:
+    """Every text of ``docs`` with the given vocabulary; see :func:`round_trip`."""
     ready(spark)
     return round_trip(docs, path or vocabulary("byte_bpe_50k.json"))
