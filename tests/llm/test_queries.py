@@ -94,6 +94,15 @@ def test_exact_dedup(spark, odd, none, real):
     assert sorted(r.doc_id or 0 for r in kept.collect()) == [0, 2, 4, 5, 7, 8, 9, 12, 13, 14, 15] and kept.columns == odd.columns
 
 
+def test_filters_kept_with_a_snapshot(spark, odd, tmp_path, monkeypatch):
+    """Written once, the filters of snapshot 0 serve later runs; only those of a new snapshot are built."""
+    exactdup.snapshot_filters(odd, "case when doc_id < 5 then 0 end").write.parquet(str(tmp_path / "f"))
+    kept, built, plain = spark.read.parquet(str(tmp_path / "f")), [], exactdup.build_filters
+    monkeypatch.setattr(exactdup, "build_filters", lambda stored, shards: built.append({r.snapshot for r in stored.select("snapshot").distinct().collect()}) or plain(stored, shards))
+    against_sql(exactdup.dedup(odd, "case when doc_id < 5 then 0 when doc_id < 9 then 1 end", kept), exactdup.ORACLE, documents=odd)
+    assert built == [{1}]
+
+
 def test_differing_bytes_stay_apart(spark, odd, monkeypatch):
     """A digest that meets another text of the same digest, as in a collision."""
     monkeypatch.setattr(exactdup, "compare", lambda docs, matched: matched.select("text_sha256"))
@@ -231,8 +240,12 @@ def test_token_files(spark, odd, none, real, tmp_path):
     assert set(found) == {1, 9} and len(found[9]) == 2 and found[1][0] == tok.encode("Hello there, world").ids + [2]
 
 
-def test_bpe(spark, odd, none):
+def test_bpe(spark, odd, none, real):
     tok = load(vocabulary("byte_bpe_50k.json"))
+    got = {r.doc_id: (r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in bpe.op8(spark, real).collect()}
+    for r in real.select("doc_id", "text").collect():
+        ids = tok.encode(r.text or "", add_special_tokens=False).ids
+        assert got[r.doc_id] == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(tok.decode(ids, skip_special_tokens=False).encode()).hexdigest())
     got = defaultdict(set)
     for r in bpe.op8(spark, odd).collect():
         got[r.doc_id].add((r.n_tokens, r.ids_sha256, r.decoded_sha256))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .binfuse import BinaryFuse
-from .common import commit, lower_az, ready
+from .common import commit, discard, lower_az, ready
 
 KEYS_PER_FILTER = 250_000
 
@@ -20,12 +20,12 @@ def digests(docs: DataFrame, snapshot: str) -> DataFrame:
 
 
 def build_filters(stored: DataFrame, shards: int) -> DataFrame:
-    """One filter for each snapshot and shard of the digest space: (snapshot, shard, filter)."""
+    """One filter for each snapshot and shard of the digest space: (snapshot, shards, shard, filter)."""
 
     def build(key: tuple, part: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"snapshot": [key[0]], "shard": [key[1]], "filter": [BinaryFuse.build(part["key"].to_numpy()).to_bytes()]})
+        return pd.DataFrame({"snapshot": [key[0]], "shards": [shards], "shard": [key[1]], "filter": [BinaryFuse.build(part["key"].to_numpy()).to_bytes()]})
 
-    return sharded(stored, shards).select("snapshot", "shard", "key").groupBy("snapshot", "shard").applyInPandas(build, "snapshot int, shard int, filter binary")
+    return sharded(stored, shards).select("snapshot", "shard", "key").groupBy("snapshot", "shard").applyInPandas(build, "snapshot int, shards int, shard int, filter binary")
 
 
 def sharded(rows: DataFrame, shards: int) -> DataFrame:
@@ -45,11 +45,22 @@ def screen(incoming: DataFrame, filters: DataFrame, shards: int) -> DataFrame:
     return sharded(incoming.select("text_sha256"), shards).groupBy("shard").cogroup(filters.select("shard", "filter").groupBy("shard")).applyInPandas(probe, "text_sha256 string")
 
 
-def dedup(docs: DataFrame, snapshot: str) -> DataFrame:
+def snapshot_filters(docs: DataFrame, snapshot: str) -> DataFrame:
+    """The filters of the snapshots in ``docs``, to be written beside them and given to :func:`dedup` from then on."""
+    stored = digests(docs, snapshot).where("snapshot is not null").select("text_sha256", "snapshot").distinct()
+    return build_filters(stored, shards_for(stored))
+
+
+def shards_for(rows: DataFrame) -> int:
+    return max(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-rows.count() // KEYS_PER_FILTER))
+
+
+def dedup(docs: DataFrame, snapshot: str, filters: DataFrame | None = None) -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256.
 
     snapshot is an SQL expression over ``docs``: the number of the immutable snapshot that a row is
-    stored in, or null for the incoming batch. Digests of the batch are grouped among themselves
+    stored in, or null for the incoming batch. filters are those of :func:`snapshot_filters` for snapshots that have them;
+    only others are built. Digests of the batch are grouped among themselves
     first, so a filter sees each once; those that a filter may hold meet the exact store by digest,
     and the texts behind both are compared byte by byte. A batch group whose bytes differ from the
     stored text of the same digest stays a group of its own.
@@ -58,12 +69,16 @@ def dedup(docs: DataFrame, snapshot: str) -> DataFrame:
     null ids rank below all others. A row that repeats both id and text is kept as often as it
     occurs. An empty table gives no rows.
     """
-    spark = docs.sparkSession
     rows = commit(digests(docs, snapshot), "digests")
     grouped = commit(rows.groupBy("text_sha256", "snapshot").agg(F.max("doc_id").alias("top"), F.count("*").alias("n")), "digest-groups")
     stored, incoming = grouped.where("snapshot is not null"), grouped.where("snapshot is null")
-    shards = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-grouped.count() // KEYS_PER_FILTER))
-    filters = commit(build_filters(stored, shards), "filters")
+    kept = filters.select("snapshot", "shards").distinct().limit(1).first() if filters is not None else None
+    shards = kept.shards if kept else shards_for(grouped)
+    if kept:
+        filters = filters.union(build_filters(stored.join(filters.select("snapshot").distinct(), "snapshot", "left_anti"), shards))
+    else:
+        filters = build_filters(stored, shards)
+    filters = commit(filters, "filters")
     positive = screen(incoming, filters, shards)
     store = stored.groupBy("text_sha256").agg(F.max("top").alias("top"), F.sum("n").alias("n"))
     matched = commit(incoming.join(positive, "text_sha256", "left_semi").select("text_sha256", F.col("top").alias("new")).join(store.select("text_sha256", F.col("top").alias("old")), "text_sha256"), "matches")
@@ -75,6 +90,7 @@ def dedup(docs: DataFrame, snapshot: str) -> DataFrame:
         batch, members, odd = batch.join(flag, "text_sha256", "left"), rows.join(flag, "text_sha256", "left"), F.coalesce("odd", F.lit(0))
     whole = store.select("text_sha256", F.lit(0).alias("own"), "top", "n").union(batch.select("text_sha256", odd.alias("own"), "top", "n"))
     groups = commit(whole.groupBy("text_sha256", "own").agg(F.max("top").alias("keep_id"), F.sum("n").cast("long").alias("group_size")), "groups")
+    discard(grouped, filters, matched)
     members = members.withColumn("own", F.when(F.col("snapshot").isNull(), odd).otherwise(F.lit(0)))
     out = members.join(groups, ["text_sha256", "own"])
     return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
@@ -108,6 +124,7 @@ def halves(docs: DataFrame) -> str:
 
 
 def op4(spark: SparkSession, docs: DataFrame) -> DataFrame:
+    """Every document, against the snapshots of :func:`halves`; see :func:`dedup`."""
     ready(spark)
     return dedup(docs, halves(docs))
 
