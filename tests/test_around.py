@@ -132,11 +132,69 @@ def test_event_log_measures(spark, tmp_path):
 
 def test_workloads_run(spark):
     m = workloads.run_matrix(spark, SF, ("user_next",), ("path3",), ("v0", "v3", "v5"))
-    assert m.count() == 3
+    assert m.count() == 3 and m.select("total").distinct().count() == 1
     assert workloads.rounding(spark, SF, "user_next", ("path3",)).agg(F.max("rel_error")).first()[0] < 1e-5
     assert workloads.motif_spectrum(graphs.settle(graphs.supppart(spark, SF), "persist")).count() == 3
-    assert workloads.skew(spark, SF, "path3").groupBy("graph").agg(F.min("edges").alias("e")).select("e").distinct().count() == 1
     assert workloads.rollup(m).count() == 3 + 1 + 1 + 1
+    split = {r.kernel: r for r in workloads.kernel_split(spark, SF, "geo", "path3").collect()}
+    assert set(split) == {"coloring", "traversal", "multiply_add"} and abs(sum(r.share for r in split.values()) - 1) < 1e-9
+
+
+def test_copies_and_samples(spark):
+    g = graphs.literal(spark, [(0, 1), (1, 2), (5, 1)])
+    three = graphs.copies(g, 3)
+    assert three.edges.count() == 18 and three.vertices.count() == 12
+    assert graphs.stats(three).first().avg_degree == graphs.stats(g).first().avg_degree
+    assert graphs.sample_edges(three, 4).edges.count() == 8
+    assert [graphs.levels_for(n) for n in (0, 30, 6000, 60_000, 600_000, 30 << 40)] == [1, 1, 8, 11, 14, 40]
+
+
+def test_next_user_whatever_the_bucket(spark):
+    """Edges between buckets are carried over, so the bucket's length changes nothing."""
+    want = sorted(map(tuple, graphs.user_next(spark, SF).edges.collect()))
+    for bucket in ("minute", "year"):
+        assert sorted(map(tuple, graphs.user_next(spark, SF, bucket).edges.collect())) == want
+
+
+def test_nearest_vectors(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    rows = [(i, rng.normal(size=4).tolist()) for i in range(30)] + [(40, rows_0 := [1.0, 0.0, 0.0, 0.0]), (41, rows_0), (42, [2.0, 0.0, 0.0, 0.0]), (43, None), (44, [0.0] * 4), (45, [float("nan")] * 4), (46, [1.0, 2.0]), (47, [1e300, 0.0, 0.0, 0.0])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    e = {i: np.array(v) / max(np.abs(v)) for i, v in rows if v and np.isfinite(v).all() and any(v)}
+    want = set()
+    for a in e:
+        best = sorted((-round(float(e[a] @ e[b] / np.linalg.norm(e[a]) / np.linalg.norm(e[b])), 9), b) for b in e if b != a and len(e[a]) == len(e[b]))[:3]
+        want |= {(min(a, b), max(a, b)) for _, b in best}
+    for block in (2048, 5, 1):
+        got = graphs.knn(spark, str(tmp_path), 3, block).edges.where("src < dst").collect()
+        assert {tuple(r) for r in got} == want
+
+
+def test_broadcasts_are_checked(spark):
+    from treecount import storage
+
+    hinted = lambda df: "ResolvedHint" in df._jdf.queryExecution().analyzed().toString()
+    assert hinted(storage.sent(spark.range(10), 8, 80)) and not hinted(storage.sent(spark.range(11), 8, 80))
+
+
+def test_ranks_of_rooted_counts(spark):
+    values = [5, 5, 7, 1, 2**40, 2**40 + 1, 3, 3, 3]
+    got = windows.rank_rooted(spark.createDataFrame(list(enumerate(values)), "v long, cnt long")).collect()
+    assert {r.v: r["rank"] for r in got} == {i: 1 + sum(y > x for y in values) for i, x in enumerate(values)}
+
+
+def test_core_stands_without_the_training_data_operators(tmp_path):
+    """In a copy without the folders, or with a library of theirs missing, the entry imports and keeps its own queries."""
+    import shutil
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    code = "import __spark_entry__ as e; q = e.queries(); assert 'pipeline' not in q and 'op1_quality' not in q and set(e.oracle_sql()) <= set(q) and len(q) > 100"
+    shutil.copytree(root, tmp_path / "r", ignore=shutil.ignore_patterns(".git", "llm", "corpus_pipeline.py", "__pycache__"))
+    blocked = "import sys; sys.modules['zstandard'] = None; sys.modules['tokenizers'] = None; "
+    for where, first in ((tmp_path / "r", ""), (root, blocked)):
+        subprocess.run([sys.executable, "-c", first + code], cwd=where, check=True, env={**os.environ, "PYTHONPATH": str(where)})
 
 
 def test_operation_counts_favour_pruning():

@@ -284,3 +284,15 @@ def test_fork5_in_whole_graphs(spark, five):
     from treecount.queries import queries
 
     assert queries()["exact_fork5"](spark, "/root/testdata/sf0.01").first().cnt == "4065264500"
+
+
+def test_peak_memory_by_hand():
+    """What is alive at each step, from the plan alone."""
+    for name in ("path4", "bin7", "t12", "t15a"):
+        t = CATALOGUE[name]
+        plan = partition(t)
+        alive = []
+        for i, s in enumerate(plan):
+            later = {x for q in plan[i:] for x in (q.active, q.passive, q.key) if x}
+            alive.append(sum(comb(t.size, q.size) for q in plan[: i + 1] if q.key in later or q.key == plan[-1].key))
+        assert cost.memory(plan, t.size, 10, 8) == (80 * max(comb(t.size, q.size) for q in plan), 80 * max(alive))
