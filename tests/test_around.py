@@ -1,5 +1,6 @@
 import datetime as dt
 import os
+import random
 import time
 
 import numpy as np
@@ -105,6 +106,33 @@ def test_windows(spark):
     assert windows.near_pairs(ntz, 30).count() == 2 and windows.sessions(ntz).count() == 5
 
 
+def test_windows_of_a_busy_user(spark):
+    """Against plain loops: many hours of one user, equal times, gaps of just the length, null users and times."""
+    rng, start, rows = random.Random(7), dt.datetime(2024, 1, 1), []
+    for i in range(400):
+        user = None if i % 23 == 0 else 1 if i % 3 else rng.randrange(2, 5)
+        ts = None if i % 31 == 0 else start + dt.timedelta(seconds=rng.randrange(0, 90_000) // 300 * 300)
+        rows.append((i, ts, user, rng.choice("ab")))
+    e = spark.createDataFrame(rows, "event_id long, ts timestamp, user_id long, event_type string")
+    sessions, prior = [], []
+    for user in {r[2] for r in rows}:
+        mine = sorted((r for r in rows if r[2] == user), key=lambda r: (r[1] is not None, r[1] or start, r[0]))
+        number, last, newest = 0, None, None
+        for i, ts, _, kind in mine:
+            if last is None or ts is None or (ts - last).total_seconds() > 1800:
+                number += 1
+                sessions.append([user, number, 0, ts, ts])
+            sessions[-1][2] += 1
+            sessions[-1][4] = last = ts
+            if kind == "a":
+                prior.append((i, user, newest))
+            else:
+                newest = i
+    assert sorted(map(tuple, windows.sessions(e).collect()), key=str) == sorted(map(tuple, sessions), key=str)
+    assert sorted(map(tuple, windows.last_before(e, "a", "b").collect()), key=str) == sorted(prior, key=str)
+    assert windows.sessions(e.limit(0)).count() == windows.last_before(e.limit(0), "a", "b").count() == 0
+
+
 def test_fit_finds_constants(spark):
     rows = [("a", v, e, n, (3e-6 * e if v == "v0" else 2e-6 * e + 1e-7 * n)) for v in ("v0", "v5") for e, n in ((1e3, 5e4), (2e4, 1e4), (5e4, 9e6))]
     t = spark.createDataFrame(rows, "graph string, variant string, edge_ops double, vertex_ops double, seconds double")
