@@ -117,9 +117,58 @@ def enumerate_maps(g: Graph, t: TreeTemplate, coloring: DataFrame | None = None)
 
 
 def enumerate_count(g: Graph, t: TreeTemplate, coloring: DataFrame | None = None) -> DataFrame:
-    """(cnt): occurrences, or with a coloring colorful maps. Exponential: for small networks."""
-    n = enumerate_maps(g, t, coloring).agg(F.count("*").alias("cnt"))
-    return n if coloring is not None else n.select((F.col("cnt") / automorphisms(t)).cast("long").alias("cnt"))
+    """(cnt): occurrences, or with a coloring colorful maps. Exponential: for small networks.
+
+    Without a coloring the leaves of the node that has most of them aren't laid out: they are counted by its further neighbours.
+    """
+    if coloring is not None:
+        return enumerate_maps(g, t, coloring).agg(F.count("*").alias("cnt"))
+    n = counted_maps(g, t) if t.size > 2 else enumerate_maps(g, t).agg(F.count("*").cast(WIDE).alias("cnt"))
+    return n.select((F.col("cnt") / automorphisms(t)).cast("long").alias("cnt"))
+
+
+def counted_maps(g: Graph, t: TreeTemplate) -> DataFrame:
+    """(cnt): maps of the template's nodes to different vertices along edges. Vertices with too few neighbours for their node are
+    left out at once. The node with most leaves is laid out with all other nodes; its leaves then are any of its neighbours
+    besides those laid out, in any order."""
+    near = t.neighbours()
+    leaves = [[j for j in near[i] if len(near[j]) == 1] for i in range(t.size)]
+    hub = max(range(t.size), key=lambda i: len(leaves[i]))
+    some = degrees(g)
+    # Stars need no edges; in others the inner nodes come first, along the template from the hub.
+    order = [i for i in walk(near, hub) if i not in leaves[hub]]
+    order.sort(key=lambda i: len(near[i]) == 1)
+    rows = some.where(F.col("d") >= len(near[hub])).select(F.col("src").alias(f"n{hub}"), "d")
+    inner = {}
+    for at, i in enumerate(order[1:], 1):
+        above = next(j for j in near[i] if j in order[:at])
+        need = len(near[i])
+        if need not in inner:
+            e = g.edges
+            inner[need] = e if need == 1 else e.join(some.where(F.col("d") >= need).select(F.col("src").alias("dst")), "dst", "left_semi")
+        rows = rows.join(inner[need].select(F.col("src").alias(f"n{above}"), F.col("dst").alias(f"n{i}")), f"n{above}")
+        for j in order[:at]:
+            if j != above:
+                rows = rows.where(F.col(f"n{i}") != F.col(f"n{j}"))
+    # Which of the nodes laid out are neighbours of the hub's vertex: those of the template for certain, others by a look at the edges.
+    taken = F.lit(sum(i in near[hub] for i in order[1:])).cast(WIDE)
+    for i in order[1:]:
+        if i not in near[hub]:
+            e = g.edges.select(F.col("src").alias(f"n{hub}"), F.col("dst").alias(f"n{i}"), F.lit(1).alias(f"t{i}"))
+            rows = rows.join(e, [f"n{hub}", f"n{i}"], "left")
+            taken = taken + F.coalesce(F.col(f"t{i}"), F.lit(0))
+    value, free = F.lit(1).cast(WIDE), (F.col("d") - taken).cast(WIDE)
+    for i in range(len(leaves[hub])):
+        value = (value * F.greatest(free - i, F.lit(0).cast(WIDE))).cast(WIDE)
+    return rows.agg(F.coalesce(F.sum(value), F.lit(0)).cast(WIDE).alias("cnt"))
+
+
+def walk(near: list[list[int]], root: int) -> list[int]:
+    """The nodes of a template from a root on, each after the one it hangs on."""
+    out = [root]
+    for i in out:
+        out += [j for j in near[i] if j not in out]
+    return out
 
 
 def in_complete_graph(n: int, t: TreeTemplate) -> int:
