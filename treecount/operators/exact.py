@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..plans.templates import TreeTemplate, automorphisms
 from ..sources.graphs import Graph
+from ..storage import merged
 from .relational import bit
 
 WIDE = "decimal(38,0)"
@@ -30,7 +31,7 @@ def star(g: Graph, leaves: int) -> DataFrame:
 def oriented(g: Graph) -> DataFrame:
     """Each edge once, from the vertex of smaller degree (then id) to the other; (a, b)."""
     d = degrees(g)
-    e = g.edges.join(d.select("src", F.col("d").alias("da")), "src").join(d.select(F.col("src").alias("dst"), F.col("d").alias("db")), "dst")
+    e = g.edges.join(merged(d.select("src", F.col("d").alias("da"))), "src").join(merged(d.select(F.col("src").alias("dst"), F.col("d").alias("db"))), "dst")
     return e.where((F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("src") < F.col("dst")))).select(F.col("src").alias("a"), F.col("dst").alias("b"))
 
 
@@ -49,7 +50,7 @@ def triangles(g: Graph) -> DataFrame:
 def path4(g: Graph) -> DataFrame:
     """(cnt): over edges, what both ends have besides, less three for each triangle."""
     d = degrees(g)
-    e = g.edges.where("src < dst").join(d.select("src", F.col("d").alias("da")), "src").join(d.select(F.col("src").alias("dst"), F.col("d").alias("db")), "dst")
+    e = g.edges.where("src < dst").join(merged(d.select("src", F.col("d").alias("da"))), "src").join(merged(d.select(F.col("src").alias("dst"), F.col("d").alias("db"))), "dst")
     walks = e.agg(F.coalesce(F.sum(((F.col("da") - 1) * (F.col("db") - 1)).cast(WIDE)), F.lit(0)).alias("w"))
     return walks.crossJoin(triangles(g)).select((F.col("w") - 3 * F.col("cnt")).cast(WIDE).alias("cnt"))
 
@@ -58,7 +59,7 @@ def fork5(g: Graph) -> DataFrame:
     """(cnt): for each edge from a centre to the neighbour that goes on, two more neighbours of the centre and one of the other,
     less the cases where that one is among the two: for each triangle and each corner as the centre, twice its further neighbours."""
     d = degrees(g)
-    e = g.edges.join(d.select("src", F.col("d").alias("da")), "src").join(d.select(F.col("src").alias("dst"), F.col("d").alias("db")), "dst")
+    e = g.edges.join(merged(d.select("src", F.col("d").alias("da"))), "src").join(merged(d.select(F.col("src").alias("dst"), F.col("d").alias("db"))), "dst")
     pick = ((F.col("da") - 1) * (F.col("da") - 2) / 2).cast(WIDE)
     free = e.agg(F.coalesce(F.sum((pick * (F.col("db") - 1)).cast(WIDE)), F.lit(0)).cast(WIDE).alias("w"))
     at = corners(g).select(F.explode(F.array("a", "x", "y")).alias("src")).groupBy("src").agg(F.count("*").cast(WIDE).alias("t"))
@@ -69,7 +70,7 @@ def fork5(g: Graph) -> DataFrame:
 def double_star(g: Graph, left: int, right: int) -> DataFrame:
     """(cnt): two joined centres with ``left`` and ``right`` leaves of their own, on a network without triangles, where no leaf can be shared."""
     d = degrees(g)
-    e = g.edges.join(d.select("src", F.col("d").alias("da")), "src").join(d.select(F.col("src").alias("dst"), F.col("d").alias("db")), "dst")
+    e = g.edges.join(merged(d.select("src", F.col("d").alias("da"))), "src").join(merged(d.select(F.col("src").alias("dst"), F.col("d").alias("db"))), "dst")
 
     def choose(c, n):
         v = F.lit(1).cast(WIDE)
