@@ -29,16 +29,17 @@ def star(g: Graph, leaves: int) -> DataFrame:
 
 
 def oriented(g: Graph) -> DataFrame:
-    """Each edge once, from the vertex of smaller degree (then id) to the other; (a, b)."""
-    d = degrees(g)
+    """Each edge once, from the vertex of smaller degree (then id) to the other; (a, b), and b's degree as db."""
+    d = degrees(g).select("src", F.col("d").cast("long").alias("d"))
     e = g.edges.join(merged(d.select("src", F.col("d").alias("da"))), "src").join(merged(d.select(F.col("src").alias("dst"), F.col("d").alias("db"))), "dst")
-    return e.where((F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("src") < F.col("dst")))).select(F.col("src").alias("a"), F.col("dst").alias("b"))
+    return e.where((F.col("da") < F.col("db")) | ((F.col("da") == F.col("db")) & (F.col("src") < F.col("dst")))).select(F.col("src").alias("a"), F.col("dst").alias("b"), "db")
 
 
 def corners(g: Graph) -> DataFrame:
     """(a, x, y): each triangle once. Edges point up in degree, so a vertex starts few pairs however many neighbours it has."""
     e = oriented(g)
-    wedge = e.select("a", F.col("b").alias("x")).join(e.select("a", F.col("b").alias("y")), "a").where("x <> y")
+    # Two neighbours meet in the order of their edge, if there is one, so each two are sent once.
+    wedge = e.select("a", F.col("b").alias("x"), F.col("db").alias("dx")).join(e.select("a", F.col("b").alias("y"), F.col("db").alias("dy")), "a").where("dx < dy or (dx = dy and x < y)").select("a", "x", "y")
     return wedge.join(e.select(F.col("a").alias("x"), F.col("b").alias("y")), ["x", "y"]).select("a", "x", "y")
 
 
