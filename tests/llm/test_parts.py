@@ -32,6 +32,17 @@ def test_chunks_give_the_ids_of_whole_texts(path, kind):
         assert e.encode([x.encode() for x in some]) == [array("I", x.ids).tobytes() for x in e.tok.encode_batch(some, add_special_tokens=False)]
 
 
+def test_words_below_u0100_take_no_chunks():
+    """Such texts are cut into pre-tokens at once, each known one time; only others are cut into chunks first."""
+    e, t = ChunkEncoder(WORDS, "words", most=40), ["It's can'T we'Re\x85ÉTÉ\xa0été 12²½ a_b--c, $$$x", "a" * 2000 + "é1 b", "\x1cx\x1d 'S", "ÀÉ " * 300]
+    for _ in range(3):
+        assert e.encode([x.encode() for x in t]) == [array("I", e.tok.encode(x, add_special_tokens=False).ids).tobytes() for x in t]
+    assert not e.kept and 0 < len(e.parts) <= 60 and max(map(len, e.parts)) < 2000
+    mixed = ["one two", "一 two", "a <|endoftext|> b"]
+    assert e.encode([x.encode() for x in mixed]) == [array("I", x.ids).tobytes() for x in e.tok.encode_batch(mixed, add_special_tokens=False)]
+    assert set(e.kept) == {c.encode() for c in ("一", "two", "a", "<|endoftext|>", "b")}
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.text(alphabet=st.characters(codec="utf-8"), max_size=80))
 def test_any_text(text):
