@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..plans.templates import TreeTemplate, automorphisms
 from ..sources.graphs import Graph
 from ..storage import merged
+from . import cells
 from .relational import bit
 
 WIDE = "decimal(38,0)"
@@ -45,15 +46,14 @@ def corners(g: Graph) -> DataFrame:
 
 def triangles(g: Graph) -> DataFrame:
     """(cnt)."""
-    return corners(g).agg(F.count("*").cast(WIDE).alias("cnt"))
+    return cells.triangles(*cells.packed(g))
 
 
 def path4(g: Graph) -> DataFrame:
     """(cnt): over edges, what both ends have besides, less three for each triangle."""
-    d = degrees(g)
-    e = g.edges.where("src < dst").join(merged(d.select("src", F.col("d").alias("da"))), "src").join(merged(d.select(F.col("src").alias("dst"), F.col("d").alias("db"))), "dst")
-    walks = e.agg(F.coalesce(F.sum(((F.col("da") - 1) * (F.col("db") - 1)).cast(WIDE)), F.lit(0)).alias("w"))
-    return walks.crossJoin(triangles(g)).select((F.col("w") - 3 * F.col("cnt")).cast(WIDE).alias("cnt"))
+    pack, parts = cells.packed(g)
+    walks = cells.walks(pack, parts).select(F.col("cnt").alias("w"))
+    return walks.crossJoin(cells.triangles(pack, parts)).select((F.col("w") - 3 * F.col("cnt")).cast(WIDE).alias("cnt"))
 
 
 def fork5(g: Graph) -> DataFrame:
